@@ -6,6 +6,7 @@ import os
 import tempfile
 from collections.abc import Callable, Iterable, Sequence
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.pandas.types import to_arrow_type
@@ -83,3 +84,40 @@ def tokenizer_path(name: str) -> str:
     import public_tokenizers
 
     return public_tokenizers.path(name)
+
+
+class Lookup:
+    """Open-addressed table from non-zero 64-bit keys to numbers, filled and probed in numpy."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray, missing=0):
+        self.missing = values.dtype.type(missing)
+        bits = max(4, int(np.ceil(np.log2(max(1, 2 * len(keys))))))
+        self.shift, self.mask = np.uint64(64 - bits), (1 << bits) - 1
+        self.keys, self.values = np.zeros(1 << bits, np.uint64), np.full(1 << bits, missing, values.dtype)
+        at, left = self.place(keys), np.arange(len(keys))
+        while len(left):
+            free = self.keys[at[left]] == 0
+            some = left[free]
+            _, first = np.unique(at[some], return_index=True)
+            put = some[first]
+            self.keys[at[put]], self.values[at[put]] = keys[put], values[put]
+            left = left[self.keys[at[left]] != keys[left]]
+            at[left] = (at[left] + 1) & self.mask
+
+    def place(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> self.shift).astype(np.int64)
+
+    def get(self, keys: np.ndarray) -> np.ndarray:
+        at = self.place(keys)
+        found = self.keys[at]
+        out = np.where(found == keys, self.values[at], self.missing)
+        left = np.flatnonzero((found != keys) & (found != 0))
+        at = at[left]
+        while len(left):
+            at = (at + 1) & self.mask
+            found = self.keys[at]
+            hit = found == keys[left]
+            out[left[hit]] = self.values[at[hit]]
+            on = ~hit & (found != 0)
+            left, at = left[on], at[on]
+        return out

@@ -5,29 +5,59 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, line_rules, simhash, token_count, toxicity
+from . import chat_repair, chunk_dedup, decontaminate, line_rules, quality_lm, secret_scan, simhash, sp_sampling, token_count, toxicity
 from .common import table
 
 
+def op1_chat_repair(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every turn with its repaired role, action, cost and rendered fragment."""
+    return chat_repair.repair_roles(table(spark, sf_dir, "conversations")).select("conv_id", "turn", "role", "new_role", "action", "cost", "n_inserted", "fragment")
+
+
 def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def op3_chunk_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document with its repeated passages: counts, ranges to cut, and who keeps the copies."""
+    got = chunk_dedup.substring_dedup(table(spark, sf_dir, "documents"))
+    return got.withColumn("has_repeats", F.col("n_shared") > 0)
+
+
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op5_quality_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_lm.quality(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_count.token_counts(table(spark, sf_dir, "documents"), keep=["doc_id"])
 
 
+def op7_sp_sampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two distinct sampled segmentations of every document, with inclusion scores."""
+    return sp_sampling.segmentations(table(spark, sf_dir, "documents"), with_ids=False)
+
+
 def op8_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_rules.line_rules(table(spark, sf_dir, "documents"))
 
 
+def op9_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.report(table(spark, sf_dir, "documents"))
+
+
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op2_decontaminate, op4_toxicity, op6_token_counts, op8_line_rules, op10_simhash)}
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_chat_repair, op2_decontaminate, op3_chunk_dedup, op4_toxicity, op5_quality_lm,
+        op6_token_counts, op7_sp_sampling, op8_line_rules, op9_secret_scan, op10_simhash,
+    )
+}
 ORACLE_SQL: dict[str, str] = {}
