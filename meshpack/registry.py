@@ -2,10 +2,23 @@
 
 from __future__ import annotations
 
+import importlib
+import pkgutil
+
+from . import workloads
+from .workloads import base
+
+
+def _loaded() -> None:
+    for m in pkgutil.iter_modules(workloads.__path__):
+        importlib.import_module(f"{workloads.__name__}.{m.name}")
+
 
 def queries() -> dict:
-    return {}
+    _loaded()
+    return dict(base.QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    _loaded()
+    return dict(base.SQL)
