@@ -6,6 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from meshpack.deploy import ship
 from meshpack.llm import decontaminate, secret_scan, simhash, sp_sampling, toxicity
 from meshpack.llm.common import shared_dir, table
 
@@ -49,6 +50,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages in turn over ``documents``, each stored as Parquet and read again for the next."""
+    ship(spark)
     docs = table(spark, sf_dir, "documents")
     place = f"{shared_dir(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES[:-1]:
