@@ -32,7 +32,8 @@ RUN_WORDS = 16
 GEAR = np.random.default_rng(20240229).integers(0, 2**32, 256, dtype=np.uint32)
 SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
 
-CHUNK = T.StructType([T.StructField(n, T.LongType()) for n in ("d1", "d2")] + [T.StructField(n, T.IntegerType()) for n in ("stop", "words")])
+#: Chunks are stored as arrays side by side, 24 bytes each.
+CHUNKS = [T.StructField(n, T.ArrayType(T.LongType())) for n in ("d1", "d2")] + [T.StructField(n, T.ArrayType(T.IntegerType())) for n in ("stop", "words")]
 
 
 def gear_hash(raw: np.ndarray) -> np.ndarray:
@@ -74,34 +75,45 @@ def ends_of(raw: bytes) -> list[int]:
     return ends
 
 
-def chunks_of(text: str | None) -> list[dict]:
+def chunks_of(text: str | None) -> tuple[list[int], list[int], list[int], list[int]]:
+    """Both halves of the digests, the ends and the numbers of words of the chunks."""
     import xxhash
 
-    raw, out, last = utf8(text), [], 0
-    for stop in ends_of(raw):
+    raw, last = utf8(text), 0
+    ends = ends_of(raw)
+    digests, words = bytearray(), []
+    for stop in ends:
         piece = raw[last:stop]
-        d = xxhash.xxh3_128_digest(piece)
-        out.append({"d1": int.from_bytes(d[:8], "big", signed=True), "d2": int.from_bytes(d[8:], "big", signed=True), "stop": stop, "words": len(piece.split())})
+        digests += xxhash.xxh3_128_digest(piece)
+        words.append(len(piece.split()))
         last = stop
-    return out
+    halves = np.frombuffer(bytes(digests), ">i8").astype(np.int64)
+    return halves[0::2], halves[1::2], ends, words
 
 
 def chunked(docs: DataFrame) -> DataFrame:
     """row, doc_id, hash of the text and chunks of every row, stored."""
 
     def make():
-        return lambda texts: {"chunks": [chunks_of(t) for t in texts]}
+        def kernel(texts):
+            rows = [chunks_of(t) for t in texts]
+            return {f.name: [r[i] for r in rows] for i, f in enumerate(CHUNKS)}
+
+        return kernel
 
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
-    got = map_texts(own, make, [T.StructField("chunks", T.ArrayType(CHUNK))], ["doc_id", "th"])
-    return cut(got.withColumn("row", F.monotonically_increasing_id()))
+    return cut(map_texts(own, make, CHUNKS, ["doc_id", "th"]).withColumn("row", F.monotonically_increasing_id()))
 
 
 def repeats(stored: DataFrame) -> DataFrame:
-    """Occurrences of chunks that occur more than once: row, at, first (id, at) and whether kept."""
-    each = stored.select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("id"), "row", F.posexplode("chunks").alias("at", "c")).select("row", "c.d1", "c.d2", F.struct("id", "at").alias("place"))
-    shared = each.groupBy("d1", "d2").agg(F.min("place").alias("first"), F.count("*").alias("n")).where("n > 1")
-    return each.join(shared.hint("merge"), ["d1", "d2"]).select("row", F.col("place.at").alias("at"), "first", "n", (F.col("place") == F.col("first")).alias("is_first"))
+    """Occurrences of chunks that occur more than once: row, at, first (id, at) and whether kept.
+
+    The shared digests are stored ahead of the join, whose sides are then plain exchanges: a digest
+    with very many occurrences is split over tasks.
+    """
+    each = stored.select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("id"), "row", F.posexplode(F.arrays_zip("d1", "d2")).alias("at", "c")).select("row", "c.d1", "c.d2", F.struct("id", "at").alias("place"))
+    shared = cut(each.groupBy("d1", "d2").agg(F.min("place").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"))
+    return each.join(shared.hint("merge"), ["d1", "d2"]).select("row", F.col("place.at").alias("at"), "first", (F.col("place") == F.col("first")).alias("is_first"))
 
 
 def removals(stored: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
@@ -123,14 +135,13 @@ def removals(stored: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
             for lo in range(0, batch.num_rows, 256):
                 yield pa.RecordBatch.from_pylist([verdict(r, run_words) for r in batch.slice(lo, 256).to_pylist()], schema=as_arrow)
 
-    return joined.select("row", "doc_id", "th", "chunks", "found").mapInArrow(run, schema)
+    return joined.select("row", "doc_id", "th", "stop", "words", "found").mapInArrow(run, schema)
 
 
 def verdict(r: dict, run_words: int) -> dict:
     """Counts of one text, the byte ranges to cut, and the documents that keep them."""
-    chunks = r["chunks"] or []
-    n, words = len(chunks), [c["words"] for c in chunks]
-    starts = [0, *(c["stop"] for c in chunks)]
+    words, starts = r["words"] or [], [0, *(r["stop"] or [])]
+    n = len(words)
     later, shared, keeper = [False] * n, [False] * n, [None] * n
     for f in r["found"] or []:
         shared[f["at"]] = True
