@@ -45,7 +45,7 @@ def _sizes_sql(m, source="pruned", marked=False):
     out = []
     for bit in ("refined", "masked"):
         parts = parts + sql.run_table(source, bit, level="level" if marked else None, name=f"r_{bit}")
-        out.append(f"SELECT '{m}' AS mesh, '{bit}' AS array, domain, (1 + sum({sql.run_bytes()}){extra})::BIGINT AS code_bytes, sum(len)::BIGINT AS n_bits FROM r_{bit} GROUP BY domain")
+        out.append(f"SELECT '{m}' AS mesh, '{bit}' AS stream, domain, (1 + sum({sql.run_bytes()}){extra})::BIGINT AS code_bytes, sum(len)::BIGINT AS n_bits FROM r_{bit} GROUP BY domain")
     return parts, out
 
 
@@ -53,7 +53,7 @@ def _stream_sizes(after, m, marked=False):
     out = []
     for bit in ("refined", "masked"):
         found = run52.runs(after, ["domain"], ["level", "path"], bit, "level" if marked else None)
-        out.append(run52.encoded_bytes(found, ["domain"], marked).select(F.lit(m).alias("mesh"), F.lit(bit).alias("array"), "domain", "code_bytes", "n_bits"))
+        out.append(run52.encoded_bytes(found, ["domain"], marked).select(F.lit(m).alias("mesh"), F.lit(bit).alias("stream"), "domain", "code_bytes", "n_bits"))
     return _all(out)
 
 
@@ -165,12 +165,12 @@ def runs_in_order(df, bit, order: list[str]):
 
 def _bool_summary(m):
     parts, outs = _sizes_sql(m)
-    return f"{sql.with_(parts, 'SELECT mesh, array, sum(n_bits)::BIGINT AS raw_bytes, sum(code_bytes)::BIGINT AS enc_bytes, sum(n_bits)::BIGINT::DOUBLE / sum(code_bytes)::BIGINT::DOUBLE AS ratio, sum((n_bits + 7) // 8)::BIGINT::DOUBLE / sum(code_bytes)::BIGINT::DOUBLE AS bit_ratio FROM (' + ' UNION ALL '.join(outs) + ') GROUP BY 1, 2')}"
+    return f"{sql.with_(parts, 'SELECT mesh, stream, sum(n_bits)::BIGINT AS raw_bytes, sum(code_bytes)::BIGINT AS enc_bytes, sum(n_bits)::BIGINT::DOUBLE / sum(code_bytes)::BIGINT::DOUBLE AS ratio, sum((n_bits + 7) // 8)::BIGINT::DOUBLE / sum(code_bytes)::BIGINT::DOUBLE AS bit_ratio FROM (' + ' UNION ALL '.join(outs) + ') GROUP BY 1, 2')}"
 
 
 def _summed_sizes(spark, sf_dir, m):
     per = _stream_sizes(pruned_of(spark, sf_dir, m, P), m)
-    return per.groupBy("mesh", "array").agg(
+    return per.groupBy("mesh", "stream").agg(
         F.sum("n_bits").alias("raw_bytes"), F.sum("code_bytes").alias("enc_bytes"), (_d(F.sum("n_bits")) / _d(F.sum("code_bytes"))).alias("ratio"),
         (_d(F.sum(F.expr("(n_bits + 7) div 8"))) / _d(F.sum("code_bytes"))).alias("bit_ratio"),
     )
@@ -214,7 +214,7 @@ def _(spark, sf_dir):
 
 
 @query("w_run52_headroom", _union(
-    f"{sql.with_(sql.pruned('line', 16, P) + sql.run_table('pruned', bit) + [('dg', f'SELECT {sql.digits()} AS n, len FROM runs'), ('by', 'SELECT n AS b FROM dg WHERE n > 1 UNION ALL SELECT ((len // (52::BIGINT ** j)::BIGINT) % 52 + 11)::BIGINT FROM dg, (SELECT unnest(range(7)) AS j) WHERE j < n UNION ALL SELECT any_value(CASE WHEN bit THEN 1 ELSE 0 END) FROM runs WHERE run_no = 0 GROUP BY domain'), ('h', 'SELECT b, count(*) AS c FROM by GROUP BY 1')], f'''SELECT '{bit}' AS array, sum(c)::BIGINT AS code_bytes, round(-sum(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE * log2(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE)), 9) AS entropy, 0.25::DOUBLE AS six_bit_saving FROM h''')}"
+    f"{sql.with_(sql.pruned('line', 16, P) + sql.run_table('pruned', bit) + [('dg', f'SELECT {sql.digits()} AS n, len FROM runs'), ('byt', 'SELECT n AS b FROM dg WHERE n > 1 UNION ALL SELECT ((len // (52::BIGINT ** j)::BIGINT) % 52 + 11)::BIGINT FROM dg, (SELECT unnest(range(7)) AS j) WHERE j < n UNION ALL SELECT any_value(CASE WHEN bit THEN 1 ELSE 0 END) FROM runs WHERE run_no = 0 GROUP BY domain'), ('h', 'SELECT b, count(*) AS c FROM byt GROUP BY 1')], f'''SELECT '{bit}' AS stream, sum(c)::BIGINT AS code_bytes, round(-sum(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE * log2(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE)), 9) AS entropy, 0.25::DOUBLE AS six_bit_saving FROM h''')}"
     for bit in ("refined", "masked")
 ))
 def _(spark, sf_dir):
@@ -222,11 +222,10 @@ def _(spark, sf_dir):
     out = []
     for bit in ("refined", "masked"):
         codes = run52.encode(after, ["domain"], ["level", "path"], bit)
-        hexed = F.hex("code")
-        each = codes.select(F.explode(F.transform(F.sequence(F.lit(1), F.length(hexed) - 1, F.lit(2)), lambda i: F.substr(hexed, i, F.lit(2)))).alias("byte"))
+        each = codes.select(F.explode(F.regexp_extract_all(F.hex("code"), F.lit("(..)"), F.lit(1))).alias("byte"))
         hist = cut(each.groupBy("byte").agg(F.count("*").alias("n")))
         e = measures.entropy(hist).withColumn("k", F.lit(1)).join(hist.agg(F.sum("n").alias("code_bytes")).withColumn("k", F.lit(1)), "k")
-        out.append(e.select(F.lit(bit).alias("array"), "code_bytes", "entropy", F.lit(0.25).alias("six_bit_saving")))
+        out.append(e.select(F.lit(bit).alias("stream"), "code_bytes", "entropy", F.lit(0.25).alias("six_bit_saving")))
     return _all(out)
 
 
@@ -499,7 +498,7 @@ def _text_bytes_sql(t, c):
     (SELECT sum(octet_length(encode({c})))::DOUBLE AS tot FROM {t})"""
 
 
-_FIELD_BYTES = f"""{sql.with_(sql.mesh('line', P) + [('hx', "SELECT rho::DOUBLE::BIT::BIGINT AS b FROM cells"), ('by', 'SELECT (b >> (8 * i)) & 255 AS b FROM hx, (SELECT unnest(range(8)) AS i)'), ('h', 'SELECT b, count(*) AS n FROM by GROUP BY 1')], "SELECT 'field rho' AS source, sum(n)::BIGINT AS bytes, round(-sum(n::DOUBLE / t * log2(n::DOUBLE / t)), 9) AS entropy FROM h, (SELECT count(*)::DOUBLE AS t FROM by)")}"""
+_FIELD_BYTES = f"""{sql.with_(sql.mesh('line', P) + [('hx', "SELECT rho::DOUBLE::BIT::BIGINT AS b FROM cells"), ('byt', 'SELECT (b >> (8 * i)) & 255 AS b FROM hx, (SELECT unnest(range(8)) AS i)'), ('h', 'SELECT b, count(*) AS n FROM byt GROUP BY 1')], "SELECT 'field rho' AS source, sum(n)::BIGINT AS bytes, round(-sum(n::DOUBLE / t * log2(n::DOUBLE / t)), 9) AS entropy FROM h, (SELECT count(*)::DOUBLE AS t FROM byt)")}"""
 
 
 @query("w_byte_entropy", _union([*(_text_bytes_sql(t, c) for t, c in _TEXTS.items()), _FIELD_BYTES]))
@@ -522,7 +521,7 @@ def _(spark, sf_dir):
     return after.agg((F.count("*") * 24).alias("all_f64"), (F.count("*") * 16).alias("two_f64"), (F.count("*") * 8).alias("two_f32"), F.count_if(F.col("rho").cast("float").cast("double") == F.col("rho")).alias("exact_f32"))
 
 
-@query("op_volume_flavours", sql.with_(sql.mesh("events", P), "SELECT 'combined' AS flavour, count(*) FILTER (refined) * 252 + count(*) * 24 AS bytes FROM cells UNION ALL SELECT 'checkpoint', count(*) FILTER (refined) * 252 + count(*) * 24 FROM cells UNION ALL SELECT 'analysis', 2 * ((count(*) + 7) // 8) + count(*) * 24 FROM cells"))
+@query("op_volume_flavours", sql.with_(sql.mesh("events", P), "SELECT 'combined' AS flavour, count(*) FILTER (refined) * 156 + count(*) * 24 AS bytes FROM cells UNION ALL SELECT 'checkpoint', count(*) FILTER (refined) * 156 + count(*) * 24 FROM cells UNION ALL SELECT 'analysis', 2 * ((count(*) + 7) // 8) + count(*) * 24 FROM cells"))
 def _(spark, sf_dir):
     """Byte model of three output flavours: combined, checkpoint only, analysis only (bits for the tree)."""
     cells = cells_of(spark, sf_dir, "events", P)
