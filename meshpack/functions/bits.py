@@ -10,6 +10,7 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from .shifts import shl, ushr
 
 #: Fixed values of the two widths: mantissa bits, exponent bias, least normal exponent.
@@ -66,7 +67,7 @@ def leading_zeros(b: Column, width: int = 64) -> Column:
     return F.when(b == 0, F.lit(width)).otherwise(F.lit(width) - F.length(F.bin(b)))
 
 
-@F.arrow_udf("bigint")
+@F.arrow_udf(T.LongType())
 def f64_view(v: pa.Array) -> pa.Array:
     """The 64 bits of a double by reinterpretation, payloads and signed zeros kept."""
     return v.view(pa.int64())

@@ -98,23 +98,23 @@ def bits_at(found: DataFrame, offsets: DataFrame, by: list[str]) -> DataFrame:
     return held.join(asked, [*by, "_b"]).where("offset >= start and offset < stop").select(*by, "offset", "bit")
 
 
-@F.arrow_udf("binary")
+@F.arrow_udf(T.BinaryType())
 def encode_udf(bits: pa.Array) -> pa.Array:
     """Stream of an array of booleans given as bytes."""
     return pa.array([None if b is None else codecs.run52_encode(b) for b in bits.to_pylist()], pa.binary())
 
 
-@F.arrow_udf("binary")
+@F.arrow_udf(T.BinaryType())
 def decode_udf(code: pa.Array) -> pa.Array:
     return pa.array([None if b is None else codecs.run52_decode(b).tobytes() for b in code.to_pylist()], pa.binary())
 
 
-@F.arrow_udf("int")
+@F.arrow_udf(T.IntegerType())
 def bit_at_udf(code: pa.Array, offset: pa.Array) -> pa.Array:
     return pa.array([None if b is None or o is None else int(codecs.run52_bit_at(b, o)) for b, o in zip(code.to_pylist(), offset.to_pylist())], pa.int32())
 
 
-@F.pandas_udf("binary")
+@F.pandas_udf(T.BinaryType())
 def encode_agg(place: pd.Series, bit: pd.Series) -> bytes:
     """Stream of a group's bits, in the order of their places."""
     return codecs.run52_encode(bit.to_numpy()[place.to_numpy().argsort()].astype("uint8"))

@@ -7,6 +7,7 @@ from dataclasses import replace
 
 from pyspark.sql import Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions.curves import morton_encode
 from ..operators import analysis, baselines, layout
@@ -144,7 +145,7 @@ def _(spark, sf_dir):
     return spark.sql("SELECT g.domain, t.level, t.path, t.refined FROM meshpack_grids g, LATERAL decode_grid(g.dim, g.root_level, g.roots, g.level_cells, g.grid) t")
 
 
-@F.udtf(returnType="level int, path bigint, refined boolean", useArrow=True)
+@F.udtf(returnType=T.StructType([T.StructField("level", T.IntegerType()), T.StructField("path", T.LongType()), T.StructField("refined", T.BooleanType())]), useArrow=True)
 class DecodeGrid:
     """Cells of one grid stream."""
 
@@ -185,15 +186,15 @@ query("op_snapshot_diff", f"SELECT coalesce(a.path, b.path) AS path, coalesce(a.
 query("op_snapshot_common", f"SELECT path FROM ({_day_sql(3)}) INTERSECT SELECT path FROM ({_day_sql(4)})")(lambda s, d: _day(s, d, 3).select("path").intersect(_day(s, d, 4).select("path")))
 query("op_snapshot_except", f"SELECT path FROM ({_day_sql(3)}) EXCEPT SELECT path FROM ({_day_sql(4)})")(lambda s, d: _day(s, d, 3).select("path").exceptAll(_day(s, d, 4).select("path")))
 
-_us = F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', w.start)").alias("start")
+_us = lambda: F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', w.start)").alias("start")
 _at = lambda s, d: table(s, d, "events").withColumn("at", F.col("ts"))
 _SUMS = "count(*) AS n, sum(round(value * 100)::BIGINT)::BIGINT AS cents"
-query("op_tumbling", f"SELECT epoch_us(time_bucket(INTERVAL 1 day, ts)) AS start, {_SUMS} FROM events GROUP BY 1")(lambda s, d: snapshots.windowed(_at(s, d)).select(_us, "n", "cents"))
+query("op_tumbling", f"SELECT epoch_us(time_bucket(INTERVAL 1 day, ts)) AS start, {_SUMS} FROM events GROUP BY 1")(lambda s, d: snapshots.windowed(_at(s, d)).select(_us(), "n", "cents"))
 query("op_sliding", f"SELECT epoch_us(t) AS start, {_SUMS} FROM (SELECT *, unnest([time_bucket(INTERVAL 12 hours, ts), time_bucket(INTERVAL 12 hours, ts) - INTERVAL 12 hours]) AS t FROM events) GROUP BY 1")(
-    lambda s, d: snapshots.windowed(_at(s, d), "24 hours", "12 hours").select(_us, "n", "cents")
+    lambda s, d: snapshots.windowed(_at(s, d), "24 hours", "12 hours").select(_us(), "n", "cents")
 )
 query("op_session", "SELECT user_id, epoch_us(min(ts)) AS start, count(*) AS n FROM (SELECT *, sum(g) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS s FROM (SELECT *, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 hours THEN 0 ELSE 1 END AS g FROM events)) GROUP BY user_id, s")(
-    lambda s, d: snapshots.sessions(_at(s, d)).select("user_id", _us, "n")
+    lambda s, d: snapshots.sessions(_at(s, d)).select("user_id", _us(), "n")
 )
 
 
@@ -211,7 +212,7 @@ def _(spark, sf_dir):
     sums = raw.groupBy(F.window("at", "1 day").alias("w")).agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"))
     q = sums.writeStream.format("memory").queryName(name).outputMode("complete").option("checkpointLocation", f"{folder}-state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name).select(_us, "n", "cents")
+    return spark.table(name).select(_us(), "n", "cents")
 
 
 @query("op_stream_late")

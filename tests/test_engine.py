@@ -173,3 +173,11 @@ def test_prune_needs_no_python_and_scans_prune_levels(spark, tmp_path):
     local.write.partitionBy("level").parquet(str(tmp_path / "cells"))
     text = analysis.at_level(spark.read.parquet(str(tmp_path / "cells")), 3)._jdf.queryExecution().executedPlan().toString()
     assert "PartitionFilters: [" in text and "level" in text.split("PartitionFilters: [")[1].split("]")[0]
+
+
+def test_registry_loads_without_a_session():
+    import subprocess
+    import sys
+
+    code = "import __spark_entry__ as e; assert len(e.queries()) > 100 and len(e.oracle_sql()) > 100"
+    subprocess.run([sys.executable, "-c", code], check=True, cwd=os.path.dirname(os.path.dirname(__file__)))
