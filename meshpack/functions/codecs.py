@@ -65,27 +65,36 @@ def prune_arrays(refined: bytes, masked: bytes, level_cells, dim: int):
 
 def run_lengths(bits: np.ndarray, cuts=()) -> tuple[np.ndarray, np.ndarray]:
     """Starts and lengths of runs of equal bits; ``cuts`` are places where a run ends anyway."""
-    change = np.flatnonzero(np.diff(bits)) + 1
-    starts = np.union1d(np.concatenate([[0], change]).astype(np.int64), np.asarray(cuts, np.int64)) if len(bits) else np.zeros(0, np.int64)
+    if not len(bits):
+        return np.zeros(0, np.int64), np.zeros(0, np.int64)
+    change = bits[1:] != bits[:-1]
+    inside = np.asarray(cuts, np.int64)
+    change[inside[(inside > 0) & (inside < len(bits))] - 1] = True
+    starts = np.concatenate([[0], np.flatnonzero(change) + 1])
     return starts, np.diff(np.append(starts, len(bits)))
 
 
 def digits_of(lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Bytes of all lengths after one another, and how many each takes."""
     lengths = np.asarray(lengths, np.int64)
-    if len(lengths) and lengths.max() > MAX_RUN:
+    most = int(lengths.max()) if len(lengths) else 0
+    if most > MAX_RUN:
         raise ValueError("a run is longer than its code can tell")
-    powers = BASE ** np.arange(1, MOST_DIGITS, dtype=np.int64)
-    n = 1 + (lengths[:, None] >= powers).sum(axis=1)
-    size = n + (n > 1)
-    out = np.zeros(int(size.sum()), np.uint8)
+    size = np.ones(len(lengths), np.int64)
+    if most < BASE:
+        return (lengths + SHIFT).astype(np.uint8), size
+    long = np.flatnonzero(lengths >= BASE)
+    value, powers = lengths[long], BASE ** np.arange(1, MOST_DIGITS, dtype=np.int64)
+    n = 1 + (value[:, None] >= powers).sum(axis=1)
+    size[long] = n + 1
     at = np.cumsum(size) - size
-    long = n > 1
-    out[at[long]] = n[long]
-    first = at + long
+    out = np.zeros(int(size.sum()), np.uint8)
+    out[at] = np.minimum(lengths, BASE - 1) + SHIFT
+    first = at[long]
+    out[first] = n
     for k in range(MOST_DIGITS):
         some = n > k
-        out[first[some] + n[some] - 1 - k] = lengths[some] // BASE**k % BASE + SHIFT
+        out[first[some] + n[some] - k] = value[some] // BASE**k % BASE + SHIFT
     return out, size
 
 
@@ -105,47 +114,59 @@ def run52_encode(bits, level_cells=None) -> bytes:
     return bytes([b[0]]) + np.insert(code, at, marks).tobytes()
 
 
+def run52_tokens(code: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Bits, lengths and levels of all runs of a stream.  Byte values tell digits, counts and marks apart."""
+    c = np.frombuffer(code, np.uint8)
+    if len(c) < 2:
+        return np.zeros(0, np.uint8), np.zeros(0, np.int64), np.zeros(0, np.int64)
+    body = c[1:].astype(np.int64)
+    counts = np.flatnonzero((body > 1) & (body <= MOST_DIGITS))
+    n = body[counts]
+    single = body >= SHIFT
+    value = body - SHIFT
+    if len(counts):
+        digit = np.repeat(counts, n) + 1 + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+        single[digit] = False
+        value[counts] = 0
+        for k in range(MOST_DIGITS):
+            some = n > k
+            value[counts[some]] = value[counts[some]] * BASE + body[counts[some] + 1 + k] - SHIFT
+        single[counts] = True
+    at = np.flatnonzero(single)
+    marked = (body == FLIP) | (body == SAME)
+    before = body[np.maximum(at - 1, 0)]
+    flip = np.where(marked[np.maximum(at - 1, 0)], before == FLIP, True)
+    flip[0] = False
+    return (c[0] ^ (np.cumsum(flip) & 1)).astype(np.uint8), value[at], np.cumsum(marked)[at]
+
+
 def run52_runs(code: bytes):
     """(bit, length, level) of each run of a stream, in order; levels count marks."""
-    if not code:
-        return
-    bit, level, i, fresh = code[0], 0, 1, True
-    while i < len(code):
-        c = code[i]
-        if c in (FLIP, SAME):
-            bit ^= c == FLIP
-            level, fresh, i = level + 1, True, i + 1
-            continue
-        if not fresh:
-            bit ^= 1
-        n = c if c <= MOST_DIGITS else 1
-        i += n > 1
-        length = 0
-        for d in code[i : i + n]:
-            length = length * BASE + d - SHIFT
-        yield bit, length, level
-        i, fresh = i + n, False
+    yield from zip(*(x.tolist() for x in run52_tokens(code)))
+
+
+def upto_level(code: bytes, high: int) -> bytes:
+    """The stream's bytes for levels 0 to ``high``: reading ends at the mark behind them."""
+    marks = np.flatnonzero(np.isin(np.frombuffer(code, np.uint8)[1:], (FLIP, SAME)))
+    return code if len(marks) <= high else code[: int(marks[high]) + 1]
 
 
 def run52_decode(code: bytes, low: int | None = None, high: int | None = None) -> np.ndarray:
     """All bits, or those of levels ``low`` to ``high``; reading ends with the last one asked for."""
-    bits, lengths = [], []
-    for bit, length, level in run52_runs(code):
-        if high is not None and level > high:
-            break
-        if low is None or level >= low:
-            bits.append(bit)
-            lengths.append(length)
-    return np.repeat(np.array(bits, np.uint8), lengths)
+    bits, lengths, levels = run52_tokens(code if high is None else upto_level(code, high))
+    if low:
+        bits, lengths = bits[levels >= low], lengths[levels >= low]
+    return np.repeat(bits, lengths)
 
 
 def run52_bit_at(code: bytes, offset: int) -> int:
     """The bit at an offset of the plain array, from run lengths alone."""
-    for bit, length, _ in run52_runs(code):
-        if offset < length:
-            return bit
-        offset -= length
-    raise IndexError("offset behind the end")
+    bits, lengths, _ = run52_tokens(code)
+    ends = np.cumsum(lengths)
+    at = int(np.searchsorted(ends, offset, "right"))
+    if offset < 0 or at >= len(ends):
+        raise IndexError("offset behind the end")
+    return int(bits[at])
 
 
 def varint_encode(bits) -> bytes:
@@ -195,11 +216,14 @@ class Bits:
         v, w, start = values[some].astype(np.uint64), widths[some], (end - widths)[some]
         word, off = start // 64, start % 64
         over = off + w - 64
-        fits = over <= 0
-        np.bitwise_or.at(words, word[fits], v[fits] << (-over[fits]).astype(np.uint64))
-        cross = ~fits
-        np.bitwise_or.at(words, word[cross], v[cross] >> over[cross].astype(np.uint64))
-        np.bitwise_or.at(words, word[cross] + 1, v[cross] << (64 - over[cross]).astype(np.uint64))
+        if len(v):
+            # fields come in order of their words: all that begin in a word are one slice
+            cross = np.flatnonzero(over > 0)
+            high = v << np.maximum(-over, 0).astype(np.uint64)
+            high[cross] = v[cross] >> over[cross].astype(np.uint64)
+            heads = np.flatnonzero(np.diff(word, prepend=-1))
+            words[word[heads]] = np.bitwise_or.reduceat(high, heads)
+            words[word[cross] + 1] |= v[cross] << (64 - over[cross]).astype(np.uint64)  # one field a word boundary
         return words.astype(">u8").tobytes()[: (total + 7) // 8]
 
     @staticmethod
