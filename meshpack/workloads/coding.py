@@ -503,7 +503,7 @@ _FIELD_BYTES = f"""{sql.with_(sql.mesh('line', P) + [('hx', "SELECT rho::DOUBLE:
 
 @query("w_byte_entropy", _union([*(_text_bytes_sql(t, c) for t, c in _TEXTS.items()), _FIELD_BYTES]))
 def _(spark, sf_dir):
-    """Byte entropies of texts against a field: floats have a far more even distribution."""
+    """Byte entropies of texts beside that of a field of point counts."""
     hists = [(t, measures.byte_histogram(table(spark, sf_dir, t), c)) for t, c in _TEXTS.items()]
     view = mesh.build_mesh(spark, sf_dir, "line", P).select(bits.f64_bits(F.col("rho")).alias("b"))
     hists.append(("field rho", view.select(F.explode(F.array(*(shr(F.col("b"), 8 * i).bitwiseAND(F.lit(255)) for i in range(8)))).alias("byte")).groupBy("byte").agg(F.count("*").alias("n"))))
