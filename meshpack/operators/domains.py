@@ -113,14 +113,18 @@ def thread_trees(cells: DataFrame, dim: int, p: Params, n: int, bounds: list[int
     bounds = split(cells, dim, n, p) if bounds is None else bounds
     spark = cells.sparkSession
     refined = cells.where("refined").select("level", "path")
-    near = owned_paths(cells, dim, bounds, p)
+    deep = refined.where(F.col("level") >= p.level_min)
+    owned = owned_paths(cells, dim, bounds, p)
     if p.halo:
-        # rows of one owner's inside reappear for each neighbour: summed before the shuffle
-        near = neighbours(near, dim, p.halo, False, p.level_max, "domain").distinct()
+        # nearness goes both ways, and refined cells are few: they ask their surroundings for owners
+        asked = neighbours(deep.withColumn("_at", F.col("path")), dim, p.halo, False, p.level_max, "_at")
+        local = asked.join(owned, ["level", "path"]).select("domain", "level", F.col("_at").alias("path")).distinct()
+    else:
+        local = owned.join(deep, ["level", "path"], "left_semi").select("domain", "level", "path")
     domains = spark.range(n).select(F.col("id").cast("int").alias("domain"))
     top = refined.where(F.col("level") < p.level_min).select("level", "path", F.explode(F.array(*map(F.lit, range(n)))).alias("domain"))
-    local = near.where(F.col("level") >= p.level_min).join(refined, ["level", "path"], "left_semi").select("domain", "level", "path")
-    local = local.unionByName(top.select("domain", "level", "path"))
+    # stored: it stands on both sides of what follows, an eighth (in 3-D) of the cells it makes
+    local = cut(local.unionByName(top.select("domain", "level", "path")))
     root = domains.select("domain", F.lit(0).alias("level"), F.lit(0).cast("long").alias("path"))
     every = root.union(children(local, dim, "domain"))
     marked = every.join(local.withColumn("_r", F.lit(True)), ["domain", "level", "path"], "left")

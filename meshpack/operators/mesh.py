@@ -130,9 +130,14 @@ def with_fields(cells: DataFrame, counts: DataFrame, spec: MeshSpec) -> DataFram
 
 
 def build_mesh(spark: SparkSession, sf_dir: str, mesh: str, p: Params = Params(), pts: DataFrame | None = None) -> DataFrame:
-    """Global cells of a catalogued mesh with their fields."""
+    """Global cells of a catalogued mesh with their fields.
+
+    Counts are stored: refinement and fields each read them, and the points are read once.
+    """
+    from .storage import cut
+
     spec = MESHES[mesh]
-    counts = counts_by_level(points(spark, sf_dir, mesh, p.level_max) if pts is None else pts, spec.dim, p.level_max)
+    counts = cut(counts_by_level(points(spark, sf_dir, mesh, p.level_max) if pts is None else pts, spec.dim, p.level_max))
     refined = refined_cells(counts, spec.dim, p)
     if p.balance:
         refined = balanced(refined, spec.dim, p.level_max, p.balance == "face")

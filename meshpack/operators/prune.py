@@ -23,15 +23,13 @@ def live_refined(local: DataFrame, dim: int) -> DataFrame:
 
 
 def prune(local: DataFrame, dim: int, root_level: int = 0) -> DataFrame:
-    """Closed form: two joins on keys that start with the domain, no iteration."""
+    """Closed form: two joins on keys that start with the domain, no iteration, one pass over ``local``."""
     live = live_refined(local, dim)
     flagged = local.join(live.withColumn("_live", F.lit(True)), KEY, "left")
-    above = live.select("domain", (F.col("level") + 1).alias("_l"), F.col("path").alias("_p"))
-    up = shr("path", dim)
-    kept = flagged.join(above, (flagged.domain == above.domain) & (flagged.level == above._l) & (up == above._p), "left_semi")
-    roots = flagged.where(F.col("level") == root_level)
-    out = kept.where(F.col("level") > root_level).unionByName(roots)
-    return out.withColumn("refined", F.col("refined") & F.coalesce("_live", F.lit(False))).drop("_live").select(*local.columns)
+    above = live.select(F.col("domain").alias("_d"), (F.col("level") + 1).alias("_l"), F.col("path").alias("_p"))
+    up = (F.col("domain") == F.col("_d")) & (F.col("level") == F.col("_l")) & (shr("path", dim) == F.col("_p"))
+    kept = flagged.join(above, up, "left").where((F.col("level") == root_level) | ((F.col("level") > root_level) & F.col("_d").isNotNull()))
+    return kept.withColumn("refined", F.col("refined") & F.coalesce("_live", F.lit(False))).select(*local.columns)
 
 
 def prune_sweep(local: DataFrame, dim: int, root_level: int = 0) -> DataFrame:
