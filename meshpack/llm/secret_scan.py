@@ -10,8 +10,9 @@ same text tells which complementary parts stand near, and a candidate is reporte
 * a long mixed string near an access identifier or an account name,
 * an endpoint near both an identifier and a secret.
 
-The join's key is the text and a bucket of ``SCOPE`` code points; parts have a least length,
-so a bucket holds a bounded number of them and no key can grow.
+The join's key is the text and a bucket of ``SCOPE`` code points; a part stands in every bucket
+from its start to its end, so its rows are bounded by its length.  Parts have a least length, so
+a bucket holds a bounded number of them and no key can grow.
 
 Defined cases: null is the empty text; matches too short for their kind are dropped after
 matching; a long mixed string that overlaps an assured span is none; rows that repeat with
@@ -88,9 +89,10 @@ def linked(parts: DataFrame, scope: int = SCOPE) -> DataFrame:
     number = {k: i for i, k in enumerate(NAMES)}
     among = lambda c, ks: F.col(c).isin([number[k] for k in ks])
     weak = parts.where(~among("kind", ASSURED))
-    # a part stands in each bucket that it or its scope touches; one bucket of the pair decides
+    # a weak part stands in each bucket that it or its scope touches, the other in each that it or its end touches:
+    # whatever pair is near then shares a bucket, and pairs that share several do no harm to the aggregates
     here = weak.withColumn("bucket", F.explode(F.sequence(F.floor((F.col("start") - scope) / scope), F.floor((F.col("stop") + scope) / scope))))
-    other = parts.select("id", "th", F.col("kind").alias("k"), F.col("start").alias("a"), F.col("stop").alias("b"), F.floor(F.col("start") / scope).alias("bucket"))
+    other = parts.select("id", "th", F.col("kind").alias("k"), F.col("start").alias("a"), F.col("stop").alias("b"), F.explode(F.sequence(F.floor(F.col("start") / scope), F.floor(F.col("stop") / scope))).alias("bucket"))
     near = here.join(other, ["id", "th", "bucket"]).where("a <= stop + %d and b + %d >= start" % (scope, scope))
     overlap = (F.col("a") < F.col("stop")) & (F.col("start") < F.col("b"))
     known = near.groupBy("id", "th", "kind", "start", "stop").agg(

@@ -267,6 +267,28 @@ def test_secrets(spark):
         assert all(not plain_spans(clean[i]) or plain_spans(clean[i])[0][3] == "assign" for i in range(at, at + len(SECRETS)))
 
 
+def test_long_secrets_link_by_their_ends(spark):
+    names = lambda spans: {s.split(":")[0] for s in spans.split(",") if s}
+    weak = {"account": "user: alice", "mixed": "aB3" * 12}
+    cases = []
+    for size in (300, 401, 777, 1000, 1500):
+        for lead in (0, 1, 57, 150, 199, 200, 333):
+            for gap in (1, 100, 198, 199, 200, 201):
+                # before: the secret's end is within the scope or just beyond it
+                cases.append(("." * lead + "token=" + "k" * (size - 6) + " " * gap + weak["account"], "account", gap <= 200))
+        # inside a long assigned value, far behind its start: the value covers it
+        at = size - 60
+        cases.append(("token=" + "k" * at + "+" + weak["mixed"] + "=" + " user: bob", "mixed", False))
+    cases.append(("AKIA" + "A1" * 400 + " " * 50 + weak["mixed"], "mixed", True))
+    cases.append(("user=" + "a." * 400 + " at https://db.example.com/x secret=abcdefgh", "endpoint", True))
+    d = docs(spark, [c[0] for c in cases])
+    got = {r.doc_id: r.spans for r in secret_scan.report(d).collect()}
+    for i, (text, kind, expected) in enumerate(cases):
+        assert (kind in names(got[i])) == expected, (i, kind, text[:20], len(text))
+    clean = {r.doc_id: r.text for r in secret_scan.redact(d).collect()}
+    assert all("alice" not in clean[i] for i, c in enumerate(cases) if c[1] == "account" and c[2])
+
+
 def test_secret_scan_is_native(spark):
     plan = secret_scan.report(docs(spark, SECRETS))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan and "NestedLoop" not in plan
