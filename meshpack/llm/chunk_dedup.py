@@ -1,17 +1,22 @@
 """Substring deduplication by content-defined chunks.
 
-A gear rolling hash runs over the bytes of a text; a chunk ends after white space where the
-hash of the last 32 bytes falls in a quarter of its range, so that an insertion moves only
-the chunks around it.  Chunks have a digest of 128 bits; of equal chunks the one with the
-least (doc_id, place) is kept.  Later ones go where they stand in a run of such chunks
-of at least ``RUN_WORDS`` words, or make up the whole text: a chance repeat of a few words
-stays.
+A gear rolling hash runs over the bytes of a text.  Places after white space may end a chunk (in
+stretches without any, character bounds that the hash picks), and of each ``WINDOW`` such places
+in turn the one with the least hash does, so ends depend on the 32 bytes before them and on
+their neighbours only.  A chunk's digest of 128 bits is that of at least the last ``RUN_WORDS``
+places before its end: two texts that share ``RUN_WORDS`` + ``WINDOW`` words share a digest,
+wherever their cuts agree, and a shared digest is never a chance repeat of a few words.
+
+Of equal digests the one with the least (doc_id, place) is kept.  Later ones go, with the words
+ahead of the chunk that the digest covers, where they stand in a run of at least ``RUN_WORDS``
+words, or make up the whole text.  Up to ``WINDOW`` words at each end of a passage can stay.
 
 Chunk digests are summed by key before the shuffle, so a passage in a third of all documents
 costs one row for each task; occurrences are joined back with split hot keys.
 
-Defined cases: null and empty texts have no chunks; texts without white space are cut at
-``MOST`` bytes at character bounds; rows of one doc_id are one document, so repeated rows keep what either keeps.
+Defined cases: null and empty texts have no chunks; ``BYTES_A_WORD`` bytes count as a word at least, for texts
+without white space; chunks over ``MOST`` bytes are cut at white space or character bounds; rows of one doc_id
+are one document, so repeated rows keep what either keeps.
 """
 
 from __future__ import annotations
@@ -24,16 +29,17 @@ from pyspark.sql import types as T
 from .common import cut, map_texts, utf8
 
 LEAST, MOST = 32, 512
-#: Share of white space places that may end a chunk, as a bound on the 32-bit hash.
-BOUND = 2**30
-RUN_WORDS = 16
+RUN_WORDS = WINDOW = 16
+#: In stretches without white space of over UNBROKEN bytes the hash picks places, one in four.
+UNBROKEN, PICK = 64, 2**30
+BYTES_A_WORD = 8
 
 #: Random words for the byte values, from a fixed seed.
 GEAR = np.random.default_rng(20240229).integers(0, 2**32, 256, dtype=np.uint32)
 SPACE = np.isin(np.arange(256), [9, 10, 11, 12, 13, 32])
 
-#: Chunks are stored as arrays side by side, 24 bytes each.
-CHUNKS = [T.StructField(n, T.ArrayType(T.LongType())) for n in ("d1", "d2")] + [T.StructField(n, T.ArrayType(T.IntegerType())) for n in ("stop", "words")]
+#: Chunks are stored as arrays side by side, 32 bytes each.
+CHUNKS = [T.StructField(n, T.ArrayType(T.LongType())) for n in ("d1", "d2")] + [T.StructField(n, T.ArrayType(T.IntegerType())) for n in ("stop", "words", "back", "back_words")]
 
 
 def gear_hash(raw: np.ndarray) -> np.ndarray:
@@ -50,15 +56,41 @@ def gear_hash(raw: np.ndarray) -> np.ndarray:
     return h
 
 
-def ends_of(raw: bytes) -> list[int]:
+def places_of(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Places that may end a chunk, the text's end not included, and their hashes."""
+    data = np.frombuffer(raw, np.uint8)
+    space, h = SPACE[data], gear_hash(data)
+    ok = space[:-1] & ~space[1:]
+    if len(data) > UNBROKEN:
+        since = np.arange(len(data)) - np.maximum.accumulate(np.where(space, np.arange(len(data)), -1))
+        ok |= (since[:-1] > UNBROKEN) & (h[:-1] < PICK) & ((data[1:] & 0xC0) != 0x80) & ~space[1:]
+    at = np.flatnonzero(ok)
+    return at + 1, h[at]
+
+
+def winnowed(h: np.ndarray, w: int = WINDOW) -> np.ndarray:
+    """Numbers of the least hashes of all windows of ``w`` in turn, the last of equals; equals within a window are thinned."""
+    if len(h) < w:
+        return np.empty(0, np.int64)
+    windows = np.lib.stride_tricks.sliding_window_view(h[::-1], w)
+    some = np.unique(len(h) - 1 - (windows.argmin(axis=1) + np.arange(len(windows))))
+    if not np.any((h[some[1:]] == h[some[:-1]]) & (np.diff(some) < w)):
+        return some
+    kept = [int(some[0])]
+    for k in some[1:].tolist():
+        if h[k] != h[kept[-1]] or k - kept[-1] >= w:
+            kept.append(k)
+    return np.array(kept)
+
+
+def ends_of(raw: bytes, places: tuple[np.ndarray, np.ndarray] | None = None) -> list[int]:
     """Ends of the chunks, the text's end included."""
     n = len(raw)
     if not n:
         return []
-    data = np.frombuffer(raw, np.uint8)
-    places = np.flatnonzero(SPACE[data] & (gear_hash(data) < BOUND)) + 1
+    at, h = places or places_of(raw)
     ends, last = [], 0
-    for p in [*places.tolist(), n]:
+    for p in [*at[winnowed(h)].tolist(), n]:
         while p - last > MOST:
             stop = last + MOST
             soft = raw.rfind(b" ", last + LEAST, stop) + 1
@@ -69,26 +101,33 @@ def ends_of(raw: bytes) -> list[int]:
                     stop -= 1
             ends.append(stop)
             last = stop
-        if p - last >= LEAST or p == n and p > last:
-            ends.append(p)
-            last = p
+        ends.append(p)
+        last = p
     return ends
 
 
-def chunks_of(text: str | None) -> tuple[list[int], list[int], list[int], list[int]]:
-    """Both halves of the digests, the ends and the numbers of words of the chunks."""
+def chunks_of(text: str | None) -> tuple[list[int], ...]:
+    """Both halves of the digests, the ends and numbers of words of the chunks, and the bytes and words that
+    the digests cover ahead of them."""
     import xxhash
 
     raw, last = utf8(text), 0
-    ends = ends_of(raw)
-    digests, words = bytearray(), []
-    for stop in ends:
-        piece = raw[last:stop]
-        digests += xxhash.xxh3_128_digest(piece)
-        words.append(len(piece.split()))
+    if not raw:
+        return [], [], [], [], [], []
+    at, h = places_of(raw)
+    ends = ends_of(raw, (at, h))
+    # the place RUN_WORDS places before each end
+    firsts = np.concatenate([np.zeros(RUN_WORDS, np.int64), at])[np.searchsorted(at, ends)].tolist()
+    digests, words, back, back_words = bytearray(), [], [], []
+    for stop, first in zip(ends, firsts):
+        first = min(first, last)
+        digests += xxhash.xxh3_128_digest(raw[first:stop])
+        words.append(len(raw[last:stop].split()))
+        back.append(last - first)
+        back_words.append(len(raw[first:last].split()))
         last = stop
     halves = np.frombuffer(bytes(digests), ">i8").astype(np.int64)
-    return halves[0::2], halves[1::2], ends, words
+    return halves[0::2], halves[1::2], ends, words, back, back_words
 
 
 def chunked(docs: DataFrame) -> DataFrame:
@@ -135,7 +174,7 @@ def removals(stored: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
             for lo in range(0, batch.num_rows, 256):
                 yield pa.RecordBatch.from_pylist([verdict(r, run_words) for r in batch.slice(lo, 256).to_pylist()], schema=as_arrow)
 
-    return joined.select("row", "doc_id", "th", "stop", "words", "found").mapInArrow(run, schema)
+    return joined.select("row", "doc_id", "th", *(f.name for f in CHUNKS[2:]), "found").mapInArrow(run, schema)
 
 
 def verdict(r: dict, run_words: int) -> dict:
@@ -149,7 +188,8 @@ def verdict(r: dict, run_words: int) -> dict:
         keeper[f["at"]] = f["id"]
 
     def long_runs(flags):
-        at = 0
+        """(first chunk, its start or what the digest covers ahead of it, words, stop) of each run, none over another."""
+        at = before = 0
         while at < n:
             if not flags[at]:
                 at += 1
@@ -157,18 +197,29 @@ def verdict(r: dict, run_words: int) -> dict:
             stop = at
             while stop < n and flags[stop]:
                 stop += 1
-            if sum(words[at:stop]) >= run_words or stop - at == n:
-                yield at, stop
+            size, count = starts[stop] - starts[at] + r["back"][at], sum(words[at:stop]) + r["back_words"][at]
+            if max(count, size // BYTES_A_WORD) >= run_words or stop - at == n:
+                low, ahead = starts[at] - r["back"][at], r["back_words"][at]
+                if low < starts[before]:
+                    low, ahead = starts[before], sum(words[before:at])
+                yield at, low, ahead + sum(words[at:stop]), stop
+                before = stop
             at = stop
 
     cuts = list(long_runs(later))
     alike = list(long_runs(shared))
-    gone = [k for a, b in cuts for k in range(a, b)]
+    gone = [k for a, _, _, b in cuts for k in range(a, b)]
+    joined = []
+    for _, low, _, b in cuts:
+        if joined and joined[-1][1] == low:
+            joined[-1][1] = starts[b]
+        else:
+            joined.append([low, starts[b]])
     return {
         "row": r["row"], "doc_id": r["doc_id"], "th": r["th"], "n_bytes": starts[-1], "n_words": sum(words), "n_chunks": n,
-        "n_removed": len(gone), "removed_bytes": sum(starts[b] - starts[a] for a, b in cuts), "removed_words": sum(words[k] for k in gone),
-        "n_shared": sum(b - a for a, b in alike), "shared_words": sum(sum(words[a:b]) for a, b in alike),
-        "cuts": [[starts[a], starts[b]] for a, b in cuts],
+        "n_removed": len(gone), "removed_bytes": sum(starts[b] - low for _, low, _, b in cuts), "removed_words": sum(w for _, _, w, _ in cuts),
+        "n_shared": sum(b - a for a, _, _, b in alike), "shared_words": sum(w for _, _, w, _ in alike),
+        "cuts": joined,
         "first_doc_ids": sorted({keeper[k] for k in gone if keeper[k] != 2**63 - 1}),
     }
 

@@ -322,6 +322,36 @@ def test_chunks_resist_shifts_and_cover():
             last = e
 
 
+def test_passages_over_50_words_share_digests():
+    """Wherever a passage stands, a digest in it agrees, also without white space; no chance repeat is one."""
+    rng = random.Random(9)
+    pool = ["".join(rng.choices("abcdefghijklmnop", k=rng.randint(2, 9))) for _ in range(3000)]
+    signs = [chr(0x4E00 + k) for k in range(3000)]
+    missed = 0
+    for trial in range(1500):
+        spaced = trial % 5 > 0
+        make = (lambda n: words_of(rng, n, pool)) if spaced else (lambda n: "".join(rng.choices(signs, k=6 * n)))
+        passage, gap = make(51), " " if spaced else ""
+        parts = [(make(rng.randint(20, 90)) + gap, gap + make(rng.randint(20, 90))) for _ in range(2)]
+        a, b = (chunk_dedup.chunks_of(x + passage + y) for x, y in parts)
+        known = set(zip(a[0].tolist(), a[1].tolist()))
+        found = [{"at": k, "is_first": False, "id": 1} for k, d in enumerate(zip(b[0].tolist(), b[1].tolist())) if d in known]
+        row = {"row": 0, "doc_id": 2, "th": 0, "found": found} | dict(zip(("stop", "words", "back", "back_words"), b[2:]))
+        v = chunk_dedup.verdict(row, chunk_dedup.RUN_WORDS)
+        low = len(parts[1][0].encode())
+        missed += not v["cuts"]
+        raw = (parts[1][0] + passage + parts[1][1]).encode()
+        whole = (parts[0][0] + passage + parts[0][1]).encode()
+        assert all(raw[x:y] in whole and raw[x:y].decode() for x, y in v["cuts"])
+        if spaced and v["cuts"]:
+            assert v["removed_words"] == sum(len(raw[x:y].split()) for x, y in v["cuts"]) and abs(v["cuts"][0][0] - low) < 300
+    assert missed == 0
+
+
+def words_of(rng, n, pool):
+    return " ".join(rng.choices(pool, k=n))
+
+
 def test_substring_dedup(spark):
     rng = random.Random(8)
     pool = ["".join(rng.choices("abcdefghijklmnop", k=rng.randint(3, 9))) for _ in range(4000)]
