@@ -39,22 +39,25 @@ def distinct_events(events: DataFrame, late: str = "2 days") -> DataFrame:
     return events.withWatermark("at", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
-def cell_counts(events: DataFrame, size: str = "1 day", p: Params = Params(), late: str = "2 days") -> DataFrame:
-    """(window, path, n, sv, sp): finest-cell sums of each window, kept as state until it closes."""
+def cell_counts(events: DataFrame, size: str = "1 day", p: Params = Params(), late: str = "2 days", users: int = 1 << 20) -> DataFrame:
+    """(window, path, n, sv, sp): finest-cell sums of each window, kept as state until it closes.
+
+    ``users`` bounds the box: user ids from there on fall in its last cells.
+    """
     spec = MESHES["events"]
     some = events.withWatermark("at", late) if events.isStreaming else events
-    pts = grid_points(some, _fixed_box(spec, some), p.level_max, keep=("at",))
+    pts = grid_points(some, _fixed_box(spec, users), p.level_max, keep=("at",))
 
 
     key = morton_encode([F.col(f"q{a}") for a in range(spec.dim)], p.level_max)
     return pts.groupBy(F.window("at", size).alias("w"), key.alias("path")).agg(F.count("*").alias("n"), F.sum("sv").alias("sv"), F.sum("sp").alias("sp"))
 
 
-def _fixed_box(spec, events: DataFrame):
+def _fixed_box(spec, users: int):
     """A stream's box is stated, not looked up."""
     from dataclasses import replace
 
-    axes = tuple(a if a.hi is not None else replace(a, hi=1 << 20) for a in spec.axes)
+    axes = tuple(a if a.hi is not None else replace(a, hi=users) for a in spec.axes)
     return replace(spec, axes=axes)
 
 

@@ -229,14 +229,17 @@ def _(spark, sf_dir):
 
 @query("w_stream_encode")
 def _(spark, sf_dir):
-    """Closed daily windows as meshes, pruned, coded and written; the stored domains are returned."""
+    """Closed daily windows as meshes, pruned, coded and written; the stored domains are returned.
+
+    The last day stays open, as no later row closes it.  All files are one micro-batch: files written in
+    parallel have no order, and by several batches rows of earlier days could come behind the watermark.
+    """
     folder = f"{shared_dir(spark).rstrip('/')}/meshpack_encode_{uuid.uuid4().hex}"
-    # two days of data and one far row that closes them
-    some = table(spark, sf_dir, "events").where("ts < timestamp_ntz'2024-01-03 00:00:00' or ts >= timestamp_ntz'2024-01-29 00:00:00'")
-    some.repartitionByRange(2, "ts").sortWithinPartitions("ts").write.parquet(f"{folder}/in")
-    small = Params(level_max=5)
-    counts = snapshots.cell_counts(snapshots.read_events(spark, f"{folder}/in"), p=small, late="1 hour")
-    q = snapshots.write_snapshots(counts, f"{folder}/out", f"{folder}/state", 4, small).trigger(availableNow=True).start()
+    events = table(spark, sf_dir, "events")
+    users = int(events.agg(F.max("user_id")).first()[0] or 0) + 1  # the stream's box, stated before it starts
+    events.write.parquet(f"{folder}/in")
+    counts = snapshots.cell_counts(snapshots.read_events(spark, f"{folder}/in", 2**31 - 1), p=P, late="1 hour", users=users)
+    q = snapshots.write_snapshots(counts, f"{folder}/out", f"{folder}/state", 4, P).trigger(availableNow=True).start()
     q.awaitTermination()
     return spark.read.parquet(f"{folder}/out").select("snapshot", "domain", "field", "raw_bytes", F.octet_length("data").cast("long").alias("enc_bytes"))
 

@@ -14,6 +14,7 @@ from meshpack.operators import analysis, domains, layout, measures, mesh, prune,
 from meshpack.operators.mesh import Params
 from meshpack.operators.storage import cut
 from meshpack.plans import pipeline
+from meshpack.streaming import snapshots
 from meshpack.workloads.base import cells_of, local_of
 
 SF = os.environ.get("TEST_SF_DIR", "/root/testdata/sf0.001")
@@ -138,6 +139,23 @@ def test_empty_and_tiny_meshes(spark):
             assert five(prune.prune(local, 2)) == five(prune.prune_sweep(local, 2)) == five(prune.prune_interval(local, 2, p.level_max))
 
 
+def test_stream_encodes_every_closed_day(spark, tmp_path):
+    """Days in the middle of the month, at the batch form's depth and box; the last one is still open."""
+    rows = spark.read.parquet(f"{SF}/events.parquet").where("ts >= timestamp_ntz'2024-01-10 00:00:00' and ts < timestamp_ntz'2024-01-13 00:00:00'")
+    rows.write.parquet(f"{tmp_path}/events.parquet")
+    got = registry.queries()["w_stream_encode"](spark, str(tmp_path)).where("field = 'rho'")
+    days = {str(r.snapshot)[:10]: r.cells for r in got.groupBy("snapshot").agg((F.sum("raw_bytes") / 8).cast("long").alias("cells")).collect()}
+    assert set(days) == {"2024-01-10", "2024-01-11"}
+    users = rows.agg(F.max("user_id")).first()[0] + 1
+    counts = cut(snapshots.cell_counts(rows.withColumn("at", F.to_timestamp(F.col("ts").cast("string"))), users=users))
+    n = {str(r.d): r.n for r in counts.groupBy(F.to_date("w.start").alias("d")).agg(F.sum("n").alias("n")).collect()}
+    assert n == {str(r.d): r.n for r in rows.groupBy(F.to_date("ts").alias("d")).agg(F.count("*").alias("n")).collect()}
+    for day in days:
+        some = counts.where(F.to_date("w.start") == F.lit(day).cast("date")).drop("w")
+        trees = snapshots.snapshot_trees(some, 4)
+        assert days[day] == trees.count() and trees.where("not refined and not masked").agg(F.sum("n")).first()[0] == n[day]
+
+
 def test_missing_coarse_values(spark):
     with pytest.raises(pxor.MissingCoarseValues):
         pxor.predict(local_of(spark, SF, "cust", Params()), 2, "nothing")
