@@ -10,6 +10,7 @@ from pyspark.sql import types as T
 from ..functions import codecs
 from ..functions.curves import morton_decode
 from ..functions.shifts import shl, shr
+from .analysis import at_level
 
 #: (label, codec, level) of the libraries that boolean and float arrays are compared with.
 BOOL_CODECS = [("run52", None, None), ("varint", None, None), ("zlib1", "zlib", 1), ("zlib9", "zlib", 9), ("lz4", "lz4", None), ("snappy", "snappy", None), ("zstd", "zstd", 3)]
@@ -93,11 +94,12 @@ def unstructured_volume(leaves: DataFrame, dim: int, level_max: int) -> DataFram
     return both.select("n_points", "n_cells", (F.col("n_points") * 8 * dim + F.col("n_cells") * (8 * (1 << dim) + 8 + 1)).alias("bytes"))
 
 
-def resample(leaves: DataFrame, dim: int, level: int, fields: list[str], most_cells: int = 1 << 27) -> DataFrame:
-    """A uniform grid at ``level``: each cell has the values of the leaf around it."""
+def resample(cells: DataFrame, dim: int, level: int, fields: list[str], most_cells: int = 1 << 27) -> DataFrame:
+    """A uniform grid at ``level``: each cell has the values of the leaf around it, or
+    its own coarse ones where the mesh is refined further.  ``cells`` are those of the tree, refined ones included."""
     if 1 << (dim * level) > most_cells:
         raise ValueError("a uniform grid of this level is too large")
-    up = leaves.where(F.col("level") <= level)
+    up = at_level(cells, level)
     shift = ((F.lit(level) - F.col("level")) * dim).cast("int")
     inner = F.explode(F.sequence(shl("path", shift), shl(F.col("path") + 1, shift) - 1))
     return up.select(inner.alias("path"), *fields).select("path", *(x.alias(f"i{a}") for a, x in enumerate(morton_decode(F.col("path"), dim))), *fields)

@@ -52,7 +52,7 @@ query("op_projection", _image_sql("orders", 5, 0))(lambda s, d: analysis.image(c
 query("w_lod_image", _image_sql("events", 4, 2))(lambda s, d: analysis.image(cells_of(s, d, "events", P), 3, 4, 2, "n", "p"))
 
 _UNI = f"SELECT (path << (2 * (6 - level))) | c AS path, {', '.join(f'{x} AS i{a}' for a, x in enumerate(sql.deinterleave('((path << (2 * (6 - level))) | c)', 2, 6)))}, p FROM cells, (SELECT unnest(range(4096))::BIGINT AS c) WHERE NOT refined AND level <= 6 AND c < (1::BIGINT << (2 * (6 - level)))"
-query("op_uniform_resample", sql.with_(sql.mesh("orders", P), _UNI))(lambda s, d: baselines.resample(cells_of(s, d, "orders", P).where("not refined"), 2, 6, ["p"]))
+query("op_uniform_resample", sql.with_(sql.mesh("orders", P), _UNI))(lambda s, d: baselines.resample(cells_of(s, d, "orders", P), 2, 6, ["p"]))
 _CORN = "SELECT level, path, " + ", ".join(f"({x} + ((c >> {a}) & 1)) * (1::BIGINT << (8 - level)) AS x{a}" for a, x in enumerate(_X2)) + " FROM cells, (SELECT unnest(range(4)) AS c) WHERE NOT refined"
 query("op_leaf_corners", sql.with_(sql.mesh("orders", P), _CORN))(lambda s, d: baselines.corners(cells_of(s, d, "orders", P).where("not refined"), 2, L))
 

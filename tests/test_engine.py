@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from meshpack import registry
 from meshpack.functions import bits, curves
-from meshpack.operators import analysis, domains, layout, measures, mesh, prune, pxor, run52
+from meshpack.operators import analysis, baselines, domains, layout, measures, mesh, prune, pxor, run52
 from meshpack.operators.mesh import Params
 from meshpack.operators.storage import cut
 from meshpack.plans import pipeline
@@ -156,6 +156,19 @@ def test_stream_encodes_every_closed_day(spark, tmp_path):
         assert days[day] == trees.count() and trees.where("not refined and not masked").agg(F.sum("n")).first()[0] == n[day]
 
 
+def test_uniform_grids_are_dense(spark):
+    """At a level that the mesh refines further, refined cells give their own values."""
+    cells = cells_of(spark, SF, "cust", Params(threshold=1))
+    level = 2
+    assert not cells.where(F.col("refined") & (F.col("level") == level)).isEmpty()
+    got = {r.path: r.p for r in baselines.resample(cells, 2, level, ["p"]).collect()}
+    own = {(r.level, r.path): (r.refined, r.p) for r in cells.collect()}
+    assert set(got) == set(range(1 << (2 * level)))
+    for path, value in got.items():
+        up = next(k for k in range(level, -1, -1) if (k, path >> (2 * (level - k))) in own)
+        assert value == own[up, path >> (2 * (level - up))][1]
+
+
 def test_missing_coarse_values(spark):
     with pytest.raises(pxor.MissingCoarseValues):
         pxor.predict(local_of(spark, SF, "cust", Params()), 2, "nothing")
