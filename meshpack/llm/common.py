@@ -8,9 +8,10 @@ from collections.abc import Callable, Iterable, Sequence
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_type
-from pyspark.sql.types import StructField, StructType
+from pyspark.sql.types import IntegralType, StructField, StructType
 
 #: Rows that a kernel turns into Python objects at once; bounds a worker's memory.
 ROWS_AT_ONCE = 256
@@ -72,6 +73,26 @@ def map_texts(
     return df.select(*read).mapInArrow(run, schema)
 
 
+def fresh(taken: Iterable[str], *names: str) -> list[str]:
+    """``names``, each led by as many underscores as keep it apart from all ``taken`` (in any case)."""
+    used, out = {c.lower() for c in taken}, []
+    for n in names:
+        while n.lower() in used:
+            n = f"_{n}"
+        used.add(n.lower())
+        out.append(n)
+    return out
+
+
+def id_key(df: DataFrame, name: str = "doc_id") -> tuple[Column, Column]:
+    """An id that orders null last, and what stands for null: whole numbers as such, all else as text."""
+    if isinstance(df.schema[name].dataType, IntegralType):
+        top = F.lit(2**63 - 1)
+        return F.coalesce(F.col(name).cast("long"), top), top
+    top = F.lit("\U0010ffff")
+    return F.coalesce(F.col(name).cast("string"), top), top
+
+
 def utf8(text: str | None) -> bytes:
     return b"" if text is None else text.encode("utf-8", "replace")
 
