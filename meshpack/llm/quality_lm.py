@@ -4,14 +4,18 @@ The model is trained on all trusted texts (label quality = 1).  Counts of n-gram
 characters are gathered from every document, trusted or not, summed by map-side and shuffled
 aggregation, and joined, shard by shard of their hash, with the tables of each lower order:
 contexts, continuation counts and discounts.  What results is a log-probability for every
-n-gram of the corpus.  Documents then sum these over their whole text, with shards of a
-bounded size sent out one after the other, and a quantile of the trusted texts' perplexity
-in the same language, over an exact histogram, sets the threshold.
+n-gram of the corpus.  Documents then sum these over their whole text: the most frequent n-grams,
+up to a stated number, are sent to all executors; what a document has of others is joined with
+their probabilities in shards of the n-gram's hash.  Such n-grams are rare by choice, so the join
+is small and has no hot key.  Sums are of whole steps of ``LOG_STEP``, so they don't depend on
+which n-grams were sent.  A quantile of the trusted texts' perplexity in the same language, over
+an exact histogram, sets the threshold.
 
 Defined cases: null and empty texts have no perplexity and are not kept; a null language is a
 language of its own; a language with fewer than ``ENOUGH`` trusted texts takes the threshold
 of all languages together; without trusted texts all perplexities and thresholds are null and
-nothing is rejected but empty texts.
+nothing is rejected but empty texts; rows that repeat get equal results; ids may be of any type that
+``labels`` has too; ``keep_fluent`` keeps all columns, whatever their names.
 """
 
 from __future__ import annotations
@@ -22,7 +26,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Lookup, cut, map_texts
+from .common import Lookup, cut, fresh, map_texts
 
 ORDER = 4
 QUANTILE = 0.995
@@ -31,8 +35,10 @@ SLACK = 0.02
 ENOUGH = 50
 #: Steps of the histogram of log-perplexity.
 STEP = 0.001
-#: N-grams in one shard that is sent to the executors.
-SHARD_GRAMS = 2_000_000
+#: N-grams that are sent to all executors, the most frequent ones (12 bytes each).
+HEAD_GRAMS = 2_000_000
+#: Log-probabilities are counted in steps of this.
+LOG_STEP = 2.0**-24
 #: Trusted ids up to which they are sent to all executors.
 BROADCAST_IDS = 2_000_000
 #: Code points gathered by a task before it sums them up.
@@ -74,7 +80,7 @@ class Gather:
         self.chars: list[np.ndarray] = []
         self.n = 0
         self.keys = np.zeros(0, np.uint64)
-        self.counts = np.zeros(0, np.int64)
+        self.counts = np.zeros((2, 0), np.int64)  # in trusted texts, in all
         self.waiting: list[tuple[np.ndarray, int]] = []
         self.size = 0
 
@@ -108,10 +114,10 @@ class Gather:
             if some:
                 k, c = np.unique(np.concatenate(some), return_counts=True)
                 keys.append(k)
-                counts.append(c * weight)
-        every = np.concatenate(keys)
+                counts.append(np.stack([c * weight, c]))
+        every, each = np.concatenate(keys), np.concatenate(counts, axis=1)
         self.keys, at = np.unique(every, return_inverse=True)
-        self.counts = np.bincount(at, np.concatenate(counts), len(self.keys)).astype(np.int64)
+        self.counts = np.stack([np.bincount(at, c, len(self.keys)) for c in each]).astype(np.int64)
         self.waiting, self.size = [], 0
 
     def flush(self):
@@ -125,14 +131,14 @@ class Gather:
                 some = points[lo : lo + 100_000]
                 grams = some.tobytes().decode("utf-32-le")
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([grams[i : i + self.order] for i in range(0, len(grams), self.order)], pa.string()), pa.array(self.counts[lo : lo + 100_000], pa.int64())],
-                    names=["g", "c"],
+                    [pa.array([grams[i : i + self.order] for i in range(0, len(grams), self.order)], pa.string()), *(pa.array(c[lo : lo + 100_000], pa.int64()) for c in self.counts)],
+                    names=["g", "c", "a"],
                 )
         self.reset()
 
 
 def gram_counts(docs: DataFrame, order: int = ORDER) -> DataFrame:
-    """(g, c): every n-gram of ``docs`` (text, trusted) with its count in trusted texts."""
+    """(g, c, a): every n-gram of ``docs`` (text, trusted) with its counts in trusted and in all texts."""
 
     def run(batches):
         gather = Gather(order)
@@ -144,8 +150,8 @@ def gram_counts(docs: DataFrame, order: int = ORDER) -> DataFrame:
                     yield from gather.add([t for t, w in zip(texts, trusted) if t and w == weight], weight)
         yield from gather.flush()
 
-    schema = T.StructType([T.StructField("g", T.StringType()), T.StructField("c", T.LongType())])
-    return docs.select("text", "trusted").mapInArrow(run, schema).groupBy("g").agg(F.sum("c").alias("c"))
+    schema = T.StructType([T.StructField("g", T.StringType()), *(T.StructField(n, T.LongType()) for n in ("c", "a"))])
+    return docs.select("text", "trusted").mapInArrow(run, schema).groupBy("g").agg(F.sum("c").alias("c"), F.sum("a").alias("a"))
 
 
 def counts_of_counts(df: DataFrame) -> list[float]:
@@ -164,8 +170,8 @@ def discount(c: Column, d: list[float]) -> Column:
 
 
 def log_probabilities(grams: DataFrame, order: int = ORDER) -> DataFrame:
-    """(g, lp) for every n-gram of stored ``grams`` (g, c), by interpolation of all orders."""
-    tables, upper = [], grams.where("c > 0")
+    """(g, a, lp) for every n-gram of stored ``grams`` (g, c, a), by interpolation of all orders; lp in steps."""
+    tables, upper = [], grams.where("c > 0").select("g", "c")
     for k in range(order, 0, -1):
         tables.append((k, upper, counts_of_counts(upper)))
         # one order down a count is the number of distinct characters seen before the n-gram
@@ -173,7 +179,7 @@ def log_probabilities(grams: DataFrame, order: int = ORDER) -> DataFrame:
         if k > 1:
             upper = cut(upper)
     symbols = tables[-1][1].count() + 1  # and one for all that training did not see
-    out = grams.select("g", F.col("c").alias("c_own"))
+    out = grams.select("g", "a", F.col("c").alias("c_own"))
     lp = F.lit(1.0 / symbols)
     for k, table, d in reversed(tables):
         prefix = F.expr(f"substring(g, 1, {k - 1})") if k > 1 else F.lit("")
@@ -196,7 +202,7 @@ def log_probabilities(grams: DataFrame, order: int = ORDER) -> DataFrame:
         lp = F.when(t > 0, (F.greatest(c - discount(c, d), F.lit(0.0)) / t) + gamma * lp).otherwise(lp)
         out = out.withColumn(f"p{k}", lp)
         lp = F.col(f"p{k}")
-    return out.select("g", F.ln(f"p{order}").alias("lp"))
+    return out.select("g", "a", F.round(F.ln(f"p{order}") / LOG_STEP).cast("long").alias("lp"))
 
 
 def mixed(flat: np.ndarray, order: int = ORDER) -> np.ndarray:
@@ -208,51 +214,67 @@ def mixed(flat: np.ndarray, order: int = ORDER) -> np.ndarray:
     return out | np.uint64(1)
 
 
-def shards(spark, logs: DataFrame, n_grams: int, size: int = SHARD_GRAMS) -> list:
-    """Broadcast tables of at most about ``size`` n-grams each, built one at a time."""
-    n = max(1, -(-n_grams // size))
-    out = []
-    for s in range(n):
-        some = (logs.where(F.pmod(F.xxhash64("g"), F.lit(n)) == s) if n > 1 else logs).toArrow()
-        flat = np.frombuffer("".join(some["g"].to_pylist()).encode("utf-32-le"), "<u4")
-        keys = mixed(flat)[:: ORDER] if len(flat) else np.zeros(0, np.uint64)
-        out.append(spark.sparkContext.broadcast((keys, some["lp"].to_numpy().astype(np.float32))))
-    return out
-
-
-def perplexities(docs: DataFrame, sent: list, keep) -> DataFrame:
-    """``keep`` columns of ``docs`` with n_chars_scored and log_ppl (per character)."""
+def head_of(logs: DataFrame, n_grams: int, size: int = HEAD_GRAMS) -> int:
+    """The least frequency of which at most ``size`` n-grams have as much or more; 0 if all may go."""
+    if n_grams <= size:
+        return 0
+    # steps of an eighth: a few hundred rows, whatever the number of n-grams
+    step = F.floor(F.log2("a") * 8).cast("int")
+    counts = sorted(((r["s"], r["n"], r["least"]) for r in logs.groupBy(step.alias("s")).agg(F.count("*").alias("n"), F.min("a").alias("least")).collect()), reverse=True)
+    total, least = 0, 2**62
+    for _, n, low in counts:
+        total += n
+        if total > size:
+            break
+        least = low
+    return least
+
+
+def perplexities(docs: DataFrame, logs: DataFrame, n_grams: int, keep, size: int = HEAD_GRAMS) -> DataFrame:
+    """``keep`` columns of ``docs``, stored, with n_scored and log_ppl (per character)."""
+    least = head_of(logs, n_grams, size)
+    head = logs.where(F.col("a") >= least).select("g", "lp").toArrow()  # at most ``size`` rows
+    flat = np.frombuffer("".join(head["g"].to_pylist()).encode("utf-32-le"), "<u4")
+    keys = mixed(flat)[::ORDER] if len(flat) else np.zeros(0, np.uint64)
+    sent = docs.sparkSession.sparkContext.broadcast((keys, np.maximum(head["lp"].to_numpy(), -(2**31) + 1).astype(np.int32)))
+    absent = 1  # log-probabilities are not above 0
 
     def make():
-        held: dict[int, Lookup] = {}
-
-        def table(i):
-            if i not in held:
-                held.clear()  # one shard at a time
-                held[i] = Lookup(*sent[i].value)
-                if hasattr(sent[i], "_value"):
-                    del sent[i]._value
-            return held[i]
+        table = Lookup(*sent.value, absent)
 
         def kernel(texts):
             some = [i for i, t in enumerate(texts) if t]
             flat, ends = code_points([texts[i] for i in some])
-            n, total = [0] * len(texts), [None] * len(texts)
-            if len(some):
+            n, total, rest = [0] * len(texts), [0] * len(texts), [None] * len(texts)
+            if some:
                 ok = gram_starts(ends)
+                got = np.zeros(len(flat), np.int64)
                 keys = mixed(flat)
-                sums = np.zeros(len(flat))
-                for i in range(len(sent)):
-                    sums[: len(keys)] += table(i).get(keys)
-                sums = np.add.reduceat(np.where(ok, sums, 0), np.concatenate([[0], ends[:-1]]))
-                sizes = np.diff(ends, prepend=0) - (ORDER - 1)
+                got[: len(keys)] = table.get(keys)
+                out = ok & (got == absent)
+                got[~ok | out] = 0
+                begin = np.concatenate([[0], ends[:-1]])
+                sums = np.add.reduceat(got, begin)
+                at = np.flatnonzero(out)
                 for j, i in enumerate(some):
-                    n[i], total[i] = int(sizes[j]), float(-sums[j] / sizes[j])
-            return {"n_scored": n, "log_ppl": total}
+                    n[i], total[i] = int(ends[j] - begin[j]) - (ORDER - 1), int(sums[j])
+                for k, j in zip(at.tolist(), (np.searchsorted(begin, at, "right") - 1).tolist()):
+                    i = some[j]
+                    rest[i] = rest[i] or []
+                    rest[i].append(flat[k : k + ORDER].tobytes().decode("utf-32-le"))
+            return {"n_scored": n, "steps": total, "rest": rest}
 
         return kernel
 
-    return map_texts(docs, make, [T.StructField("n_scored", T.LongType()), T.StructField("log_ppl", T.DoubleType())], keep)
+    added = [T.StructField("n_scored", T.LongType()), T.StructField("steps", T.LongType()), T.StructField("rest", T.ArrayType(T.StringType()))]
+    scored = map_texts(docs, make, added, keep)
+    if least:
+        scored = cut(scored.withColumn("row", F.monotonically_increasing_id()))
+        each = scored.where("rest is not null").select("row", F.explode("rest").alias("g"))
+        tail = each.join(logs.where(F.col("a") < least).select("g", "lp").hint("merge"), "g").groupBy("row").agg(F.sum("lp").alias("more"))
+        scored = scored.join(tail, "row", "left").withColumn("steps", F.col("steps") + F.coalesce("more", F.lit(0)))
+    per = F.when(F.col("n_scored") > 0, -F.col("steps") * LOG_STEP / F.col("n_scored"))
+    return cut(scored.select(*keep, "n_scored", per.alias("log_ppl")))
 
 
 def thresholds(scored: DataFrame, quantile: float = QUANTILE) -> DataFrame:
@@ -265,9 +287,8 @@ def thresholds(scored: DataFrame, quantile: float = QUANTILE) -> DataFrame:
     return ranked.where(F.col("upto") >= quantile * F.col("total")).groupBy("lang").agg(((F.min("step") + 1) * STEP).alias("limit"), F.first("total").alias("n"))
 
 
-def quality(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, shard_grams: int = SHARD_GRAMS) -> DataFrame:
+def quality(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slack: float = SLACK, head_grams: int = HEAD_GRAMS) -> DataFrame:
     """doc_id, lang, log_ppl, perplexity, limit and kept of every row of ``docs``."""
-    spark = docs.sparkSession
     trusted = labels.where("quality = 1 and doc_id is not null").select("doc_id").distinct().withColumn("trusted", F.lit(1))
     few = trusted.count() <= BROADCAST_IDS
     own = docs.select("doc_id", "text", "lang").join(F.broadcast(trusted) if few else trusted.hint("merge"), "doc_id", "left").na.fill(0, ["trusted"])
@@ -277,7 +298,7 @@ def quality(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slac
         out = docs.select("doc_id", "lang", F.lit(0).cast("long").alias("n_scored"), F.lit(None).cast("double").alias("log_ppl"), (F.length(F.coalesce("text", F.lit(""))) > 0).alias("kept"))
         return out.select("doc_id", "lang", "n_scored", "log_ppl", F.lit(None).cast("double").alias("perplexity"), F.lit(None).cast("double").alias("threshold"), "kept")
     logs = cut(log_probabilities(grams))
-    scored = cut(perplexities(own, shards(spark, logs, n[0], shard_grams), ["doc_id", "lang", "trusted"]))
+    scored = perplexities(own, logs, n[0], ["doc_id", "lang", "trusted"], head_grams)
     limits = thresholds(scored, quantile)
     every = limits.where("lang is null").first()
     known = limits.where(F.col("lang").isNotNull() & (F.col("n") >= ENOUGH)).select(F.col("lang").alias("_l"), "limit")
@@ -291,5 +312,6 @@ def quality(docs: DataFrame, labels: DataFrame, quantile: float = QUANTILE, slac
 
 def keep_fluent(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """``docs`` without the texts whose perplexity is above their language's threshold."""
-    gone = quality(docs, labels).where("not kept").select(F.col("doc_id").alias("_d")).distinct()
-    return docs.join(gone, docs.doc_id.eqNullSafe(gone._d), "left_anti")
+    (name,) = fresh(docs.columns, "gone")
+    gone = quality(docs, labels).where("not kept").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, docs.doc_id.eqNullSafe(gone[name]), "left_anti")

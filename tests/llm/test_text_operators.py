@@ -56,10 +56,41 @@ def plain_contamination(text, items):
     return len(w), len(hit), sorted(found), hit
 
 
-@pytest.mark.parametrize("block", [decontaminate.BLOCK_BYTES, 150])
+def test_machine_finds_all_windows(monkeypatch):
+    """Against a search of every window, with few words, so that blocks repeat in and across items."""
+    rng = random.Random(1)
+    for trial in range(300):
+        monkeypatch.setattr(decontaminate, "CROWD", rng.choice([1, 16]))
+        pool = [f"w{i}" for i in range(rng.choice([2, 5, 40]))]
+        base, items, doc = rng.choices(pool, k=30), [], []
+        for i in range(rng.choice([3, 60])):
+            t = rng.choices(pool, k=rng.choice([1, 5, 13, 14, 20]))
+            if rng.random() < 0.6:
+                t = t[: rng.randint(0, 5)] + base[rng.randint(0, 9) : rng.randint(12, 30)] + t
+            items.append((str(i), " ".join(t)))
+        while len(doc) < 120:
+            x = rng.choice(items)[1].split()
+            a = rng.randint(0, len(x))
+            doc += rng.choice([x[a : a + rng.randint(1, 25)], base[rng.randint(0, 10) :], [rng.choice(pool)], ["other"]])
+        n, hit, found = decontaminate.scan(" ".join(doc), decontaminate.Machine(items, 13))
+        want = plain_contamination(" ".join(doc), items)
+        assert (n, len(hit), sorted(found)) == want[:3] and set(hit.tolist()) == want[3]
+
+
+def test_automaton_grows_with_words():
+    rng = random.Random(2)
+    pool = [f"{rng.getrandbits(24):x}" for _ in range(20_000)]
+    items = [(str(i), " ".join(rng.choices(pool, k=60))) for i in range(500)]
+    stats = decontaminate.Machine(items, 13).trie.get_stats()
+    assert stats["nodes_count"] <= 2 * 500 * 60 and stats["total_size"] < 100 * 500 * 60
+
+
+@pytest.mark.parametrize("block", [decontaminate.BLOCK_BYTES, 150, 1])
 def test_contamination(spark, block):
     rng = random.Random(3)
     items = [(i, words(rng, n)) for i, n in enumerate([30, 13, 14, 5, 1, 20])] + [(6, None), (7, "...")]
+    if block == 1:  # an automaton for each of over 100 items
+        items += [(i, words(rng, 13)) for i in range(100, 200)]
     items.append((8, items[0][1]))
     bits = [t for _, t in items if t]
     texts = [*AWKWARD, *bits, *(f"{words(rng, 20)} {b.upper()}, {words(rng, 9)}" for b in bits), *(words(rng, 200) for _ in range(5))]
@@ -466,8 +497,11 @@ def test_perplexities(spark):
     d = docs(spark, [*good, *bad, *AWKWARD])
     labels = spark.createDataFrame([(i, 1, 0) for i in range(60)] + [(60, 0, 0), (None, 1, 0)], "doc_id long, quality int, toxic int")
     model = plain_kneser_ney(good)
-    for size in (quality_lm.SHARD_GRAMS, 200):
-        got = {r.doc_id: r for r in quality_lm.quality(d, labels, shard_grams=size).collect()}
+    whole = None
+    for size in (quality_lm.HEAD_GRAMS, 200, 20, 0):
+        got = {r.doc_id: r for r in quality_lm.quality(d, labels, head_grams=size).collect()}
+        whole = whole or got
+        assert got == whole  # to the last bit, whatever goes by broadcast and whatever by join
         assert len(got) == 60 + len(bad) + len(AWKWARD)
         for i, t in enumerate([*good, *bad, *AWKWARD]):
             if t:
