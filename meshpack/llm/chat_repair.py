@@ -14,7 +14,8 @@ its own turns.  The result does not depend on where the edges fall.
 Defined cases: a null conv_id is a conversation of its own; turns order by turn, then role,
 then a hash of the text, nulls first; null or unknown roles may take any role at the price of
 a relabelling; null text is empty; template marks inside a text are broken by a space; a
-conversation of system turns only gets an empty user and assistant turn.
+conversation of system turns only gets an empty user and assistant turn; repeated rows are turns
+like any other; ids may be of any type; columns of the names that are added give way.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut
+from .common import cut, fresh
 
 ROLES = ("system", "user", "assistant")
 #: States are "after role r", and the start; turns allowed after each; where a text may end.
@@ -165,21 +166,22 @@ def repair_roles(conversations: DataFrame) -> DataFrame:
     The fragments of a conversation, joined in (turn, place) order, are its rendered text;
     ``place`` counts turns within a partition's sorted order and so breaks ties of ``turn``.
     """
-    names = {f.name for f in ADDED} | {"part", "place"}
+    names = {f.name for f in ADDED} | {"place"}
     kept = [c for c in conversations.columns if c not in names]
+    (part,) = fresh(kept, "part")
     tie = F.xxhash64("text")
     own = conversations.select(*kept)
     placed = cut(
         own.repartitionByRange(F.col("conv_id"), F.col("turn"), F.col("role"), tie).sortWithinPartitions("conv_id", "turn", "role", tie)
-        .withColumn("part", F.spark_partition_id()).withColumn("place", F.monotonically_increasing_id())
+        .withColumn(part, F.spark_partition_id()).withColumn("place", F.monotonically_increasing_id())
     )
-    edges = placed.groupBy("part").agg(F.min_by("conv_id", "place").alias("first"), F.max_by("conv_id", "place").alias("last"), F.count("*").alias("n")).orderBy("part").collect()  # a row for each partition
+    edges = placed.groupBy(F.col(part).alias("part")).agg(F.min_by("conv_id", "place").alias("first"), F.max_by("conv_id", "place").alias("last"), F.count("*").alias("n")).orderBy("part").collect()  # a row for each partition
     crossing = {}  # part -> conversations that go on before or after it
     for a, b in zip(edges, edges[1:]):
         if a["last"] == b["first"]:
             crossing.setdefault(a["part"], set()).add(a["last"])
             crossing.setdefault(b["part"], set()).add(b["first"])
-    enter, leave = _edges(placed, crossing) if crossing else ({}, {})
+    enter, leave = _edges(placed.select("conv_id", "role", F.col(part).alias("part")), crossing) if crossing else ({}, {})
     schema = T.StructType([*(placed.schema[c] for c in [*kept, "place"]), *ADDED])
     out_names = [*kept, "place", *(f.name for f in ADDED)]
 
@@ -202,7 +204,7 @@ def repair_roles(conversations: DataFrame) -> DataFrame:
             held.clear()
 
         for conv, rows in _groups(batches):
-            at = rows[0][2].column(rows[0][2].schema.names.index("part"))[0].as_py()
+            at = rows[0][2].column(rows[0][2].schema.names.index(part))[0].as_py()
             state = enter.get((at, conv), START)
             ends = (at, conv) not in leave
             to_go = [c for c, _ in ENDING] if ends else leave[at, conv]
@@ -216,7 +218,7 @@ def repair_roles(conversations: DataFrame) -> DataFrame:
                 yield from flush()
         yield from flush()
 
-    return placed.select(*kept, "place", "part").mapInArrow(run, schema)
+    return placed.select(*kept, "place", part).mapInArrow(run, schema)
 
 
 def _edges(placed: DataFrame, crossing: dict[int, set]):

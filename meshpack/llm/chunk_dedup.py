@@ -16,7 +16,8 @@ costs one row for each task; occurrences are joined back with split hot keys.
 
 Defined cases: null and empty texts have no chunks; ``BYTES_A_WORD`` bytes count as a word at least, for texts
 without white space; chunks over ``MOST`` bytes are cut at white space or character bounds; rows of one doc_id
-are one document, so repeated rows keep what either keeps.
+are one document, so repeated rows keep what either keeps; null ids come last; ids may be of any type,
+and other than whole numbers order as text; ``cut_repeats`` keeps all columns, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, map_texts, utf8
+from .common import cut, fresh, id_key, map_texts, utf8
 
 LEAST, MOST = 32, 512
 RUN_WORDS = WINDOW = 16
@@ -140,29 +141,32 @@ def chunked(docs: DataFrame) -> DataFrame:
 
         return kernel
 
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("th"), "text")
+    own = docs.select("doc_id", F.xxhash64("text").alias("th"), "text")
     return cut(map_texts(own, make, CHUNKS, ["doc_id", "th"]).withColumn("row", F.monotonically_increasing_id()))
 
 
 def repeats(stored: DataFrame) -> DataFrame:
-    """Occurrences of chunks that occur more than once: row, at, first (id, at) and whether kept.
+    """Occurrences of chunks that occur more than once: row, at, the id that keeps it and whether this is the kept one.
 
     The shared digests are stored ahead of the join, whose sides are then plain exchanges: a digest
     with very many occurrences is split over tasks.
     """
-    each = stored.select(F.coalesce("doc_id", F.lit(2**63 - 1)).alias("id"), "row", F.posexplode(F.arrays_zip("d1", "d2")).alias("at", "c")).select("row", "c.d1", "c.d2", F.struct("id", "at").alias("place"))
+    key, top = id_key(stored)
+    each = stored.select(key.alias("id"), "row", F.posexplode(F.arrays_zip("d1", "d2")).alias("at", "c")).select("row", "c.d1", "c.d2", F.struct("id", "at").alias("place"))
     shared = cut(each.groupBy("d1", "d2").agg(F.min("place").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"))
-    return each.join(shared.hint("merge"), ["d1", "d2"]).select("row", F.col("place.at").alias("at"), "first", (F.col("place") == F.col("first")).alias("is_first"))
+    joined = each.join(shared.hint("merge"), ["d1", "d2"])
+    return joined.select("row", F.col("place.at").alias("at"), F.nullif("first.id", top).alias("keeper"), (F.col("place") == F.col("first")).alias("is_first"))
 
 
 def removals(stored: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
     """row, and arrays by chunk place: of later occurrences in runs, and of the ids kept for them."""
-    found = repeats(stored).groupBy("row").agg(F.collect_list(F.struct("at", F.col("is_first"), F.col("first.id").alias("id"))).alias("found"))
+    found = repeats(stored).groupBy("row").agg(F.collect_list(F.struct("at", F.col("is_first"), F.col("keeper").alias("id"))).alias("found"))
     joined = stored.join(found, "row", "left")
+    ids = found.schema["found"].dataType.elementType["id"].dataType
     schema = T.StructType([
-        T.StructField("row", T.LongType()), T.StructField("doc_id", T.LongType()), T.StructField("th", T.LongType()),
+        T.StructField("row", T.LongType()), stored.schema["doc_id"], T.StructField("th", T.LongType()),
         *(T.StructField(n, T.LongType()) for n in ("n_bytes", "n_words", "n_chunks", "n_removed", "removed_bytes", "removed_words", "n_shared", "shared_words")),
-        T.StructField("cuts", T.ArrayType(T.ArrayType(T.LongType()))), T.StructField("first_doc_ids", T.ArrayType(T.LongType())),
+        T.StructField("cuts", T.ArrayType(T.ArrayType(T.LongType()))), T.StructField("first_doc_ids", T.ArrayType(ids)),
     ])
 
     def run(batches):
@@ -220,7 +224,7 @@ def verdict(r: dict, run_words: int) -> dict:
         "n_removed": len(gone), "removed_bytes": sum(starts[b] - low for _, low, _, b in cuts), "removed_words": sum(w for _, _, w, _ in cuts),
         "n_shared": sum(b - a for a, _, _, b in alike), "shared_words": sum(w for _, _, w, _ in alike),
         "cuts": joined,
-        "first_doc_ids": sorted({keeper[k] for k in gone if keeper[k] != 2**63 - 1}),
+        "first_doc_ids": sorted({keeper[k] for k in gone if keeper[k] is not None}),
     }
 
 
@@ -231,19 +235,18 @@ def substring_dedup(docs: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
 
 def cut_repeats(docs: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
     """``docs`` with later copies of repeated passages cut out of the texts."""
-    cuts = removals(chunked(docs), run_words).where("size(cuts) > 0").dropDuplicates(["doc_id", "th"]).select(F.col("doc_id").alias("_i"), F.col("th").alias("_th"), F.col("cuts").alias("_cuts"))
-    own = docs.withColumn("_h", F.xxhash64("text"))
-    joined = own.join(cuts, own.doc_id.eqNullSafe(cuts._i) & (own._h == cuts._th), "left").select(*docs.columns, "_cuts")
+    i, h, found = fresh(docs.columns, "id", "th", "cuts")
+    cuts = removals(chunked(docs), run_words).where("size(cuts) > 0").dropDuplicates(["doc_id", "th"]).select(F.col("doc_id").alias(i), F.col("th").alias(h), F.col("cuts").alias(found))
+    joined = docs.join(cuts, F.col("doc_id").eqNullSafe(F.col(i)) & (F.xxhash64("text") == F.col(h)), "left").select(*docs.columns, found)
     schema = docs.schema
 
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
-            names = batch.schema.names
-            t = names.index("text")
-            texts = [without(a, b) for a, b in zip(batch.column(t).to_pylist(), batch.column(names.index("_cuts")).to_pylist())]
-            yield pa.RecordBatch.from_arrays([pa.array(texts, batch.column(t).type) if c == "text" else batch.column(names.index(c)) for c in schema.names], names=schema.names)
+            t, n = schema.names.index("text"), len(schema.names)
+            texts = [without(a, b) for a, b in zip(batch.column(t).to_pylist(), batch.column(n).to_pylist())]
+            yield pa.RecordBatch.from_arrays([pa.array(texts, batch.column(t).type) if k == t else batch.column(k) for k in range(n)], names=schema.names)
 
     return joined.mapInArrow(run, schema)
 

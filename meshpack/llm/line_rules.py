@@ -10,8 +10,9 @@ common line is summed before the shuffle.  Lines above the limit are joined back
 if their checked number allows it, by shuffle otherwise.
 
 Defined cases: null texts have no lines and no words and are not kept; a null host is a host
-of its own; repeated rows count once where their doc_id is equal; lines without a word are
-never counted or removed.
+of its own; repeated rows count once where their doc_id is equal, rows without one each; lines
+without a word are never counted or removed; ids may be of any type; ``strip_lines`` keeps all
+columns, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, map_texts, utf8
+from .common import cut, fresh, map_texts, utf8
 
 #: Distinct documents of a host that may share a line.
 LINE_DOCS = 10
@@ -29,6 +30,8 @@ LINE_DOCS = 10
 LEFT = 0.5
 #: Frequent lines up to which the join is by broadcast (24 bytes each).
 BROADCAST_LINES = 1_000_000
+#: Tasks that the occurrences of one frequent line are dealt to beyond that.
+SALTS = 16
 
 NORMAL = bytes(b + 32 if 0x41 <= b <= 0x5A else 0x30 if 0x30 <= b <= 0x39 else b for b in range(256))
 WINDOW = 5
@@ -87,8 +90,13 @@ def lines_of(text: str | None) -> list[tuple[int, int]]:
     return list(found.items())
 
 
+def text_key() -> F.Column:
+    """Equal for rows of equal id, host and text."""
+    return F.struct(F.xxhash64("doc_id").alias("i"), F.xxhash64("text").alias("t"), F.coalesce("source", F.lit("")).alias("s"))
+
+
 def analysed(docs: DataFrame) -> DataFrame:
-    """doc_id, host, base counts and lines of each row, stored."""
+    """doc_id, host, key, base counts and lines of each row, stored."""
 
     def make():
         def kernel(texts):
@@ -100,13 +108,13 @@ def analysed(docs: DataFrame) -> DataFrame:
         return kernel
 
     added = [*BASE, T.StructField("lines", T.ArrayType(LINE))]
-    host = docs.select("doc_id", F.coalesce("source", F.lit("")).alias("host"), "text")
-    return cut(map_texts(host, make, added, ["doc_id", "host"]).withColumn("row", F.monotonically_increasing_id()))
+    host = docs.select("doc_id", F.coalesce("source", F.lit("")).alias("host"), text_key().alias("key"), "text")
+    return cut(map_texts(host, make, added, ["doc_id", "host", "key"]).withColumn("row", F.monotonically_increasing_id()))
 
 
 def frequent_lines(lines: DataFrame, limit: int = LINE_DOCS) -> DataFrame:
     """(host, h, n_docs) of the lines that more than ``limit`` documents of a host have."""
-    return lines.groupBy("host", "h").agg(F.count_distinct(F.coalesce("doc_id", -1 - F.col("row"))).alias("n_docs")).where(F.col("n_docs") > limit)
+    return lines.groupBy("host", "h").agg(F.count_distinct(F.struct("doc_id", F.when(F.col("doc_id").isNull(), F.col("row")))).alias("n_docs")).where(F.col("n_docs") > limit)
 
 
 def line_rules(docs: DataFrame, limit: int = LINE_DOCS, left: float = LEFT, broadcast_lines: int = BROADCAST_LINES) -> DataFrame:
@@ -117,35 +125,43 @@ def line_rules(docs: DataFrame, limit: int = LINE_DOCS, left: float = LEFT, broa
     if frequent.count() <= broadcast_lines:
         removed = lines.join(F.broadcast(frequent.select("host", "h")), ["host", "h"])
     else:
-        removed = lines.join(frequent.select("host", "h").hint("merge"), ["host", "h"])
+        removed = salted(lines, frequent.select("host", "h"))
     lost = removed.groupBy("row").agg(F.count("*").alias("n_removed_lines"), F.sum("chars").alias("removed_chars"))
-    counted = rows.drop("lines", "host").join(lost, "row", "left").drop("row").na.fill(0, ["n_removed_lines", "removed_chars"])
+    counted = rows.drop("lines", "host", "key").join(lost, "row", "left").drop("row").na.fill(0, ["n_removed_lines", "removed_chars"])
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     depleted = (F.col("word_chars") - F.col("removed_chars")) < left * F.col("word_chars")
     return counted.withColumn("base_failed", failed).withColumn("kept", ~failed & ~depleted)
 
 
+def salted(lines: DataFrame, frequent: DataFrame) -> DataFrame:
+    """``lines`` that are ``frequent``, by shuffle; a line that all of a host has goes to ``SALTS`` tasks."""
+    side = frequent.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return lines.withColumn("salt", F.pmod(F.hash("row"), F.lit(SALTS))).join(side.hint("merge"), ["host", "h", "salt"]).drop("salt")
+
+
 def strip_lines(docs: DataFrame, limit: int = LINE_DOCS) -> DataFrame:
     """``docs`` with the frequent lines of each host cut out of the texts.
 
     Line hashes of the host travel to a document as an array, for frequent lines only.
     """
     rows = analysed(docs)
-    lines = rows.select("row", "doc_id", "host", F.explode("lines").alias("line")).select("row", "doc_id", "host", "line.*")
-    gone = lines.join(frequent_lines(lines, limit).select("host", "h"), ["host", "h"]).groupBy("doc_id").agg(F.collect_set("h").alias("_gone"))
-    joined = docs.join(gone, "doc_id", "left")
+    lines = rows.select("row", "key", "doc_id", "host", F.explode("lines").alias("line")).select("row", "key", "doc_id", "host", "line.*")
+    frequent = frequent_lines(lines, limit).select("host", "h")
+    key, found = fresh(docs.columns, "key", "gone")
+    gone = salted(lines, frequent).groupBy(F.col("key").alias(key)).agg(F.collect_set("h").alias(found))
+    joined = docs.withColumn(key, text_key()).join(gone, key, "left")
     schema = docs.schema
 
     def run(batches):
         import pyarrow as pa
 
         for batch in batches:
-            t, g = batch.schema.names.index("text"), batch.schema.names.index("_gone")
+            t, g = schema.names.index("text"), len(schema.names)
             texts = [strip(a, set(b or ())) for a, b in zip(batch.column(t).to_pylist(), batch.column(g).to_pylist())]
-            arrays = [pa.array(texts, batch.column(t).type) if c == "text" else batch.column(batch.schema.names.index(c)) for c in schema.names]
+            arrays = [pa.array(texts, batch.column(t).type) if i == t else batch.column(i) for i in range(g)]
             yield pa.RecordBatch.from_arrays(arrays, names=schema.names)
 
-    return joined.select(*schema.names, "_gone").mapInArrow(run, schema)
+    return joined.select(*schema.names, found).mapInArrow(run, schema)
 
 
 def strip(text: str | None, gone: set[int]) -> str | None:

@@ -10,7 +10,9 @@ components stay exact and the output stays linear.
 
 Defined cases: null and wordless texts have fingerprint zero and link like any other; a text
 of fewer than three words is one shingle; equal fingerprints are one node, whatever their
-number; null ids count as larger than all others and give a null component if alone.
+number; null ids count as larger than all others and give a null component if alone; ids may be of
+any type, and other than whole numbers order as text; ``keep_first`` keeps all columns, whatever
+their names, and of rows that repeat one.
 """
 
 from __future__ import annotations
@@ -21,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, map_texts, utf8
+from .common import cut, fresh, id_key, map_texts, utf8
 
 RADIUS = 3
 SHINGLE = 3
@@ -32,7 +34,8 @@ TILE = 2048
 CROWD = 4096
 
 LOWER = bytes(b + 32 if 0x41 <= b <= 0x5A else b for b in range(256))
-NO_ID = 2**63 - 1
+#: Ids of rows up to which ``keep_first`` sends them to all executors.
+BROADCAST_IDS = 2_000_000
 
 
 def fingerprint(text: str | None, shingle: int = SHINGLE, seed: int = SEED) -> int:
@@ -249,16 +252,19 @@ def components(links: DataFrame, rounds: int = 64) -> DataFrame:
         if now == seen:
             break
         seen = now
+    else:
+        raise RuntimeError(f"components are not settled after {rounds} rounds")
     return edges.select(F.col("hi").alias("node"), F.col("lo").alias("root"))
 
 
 def classes(prints: DataFrame, radius: int = RADIUS, tile: int = TILE) -> DataFrame:
-    """(fp, root, component_id) for each distinct fp of stored ``prints`` (doc_id, fp)."""
-    distinct = cut(prints.groupBy("fp").agg(F.min(F.coalesce("doc_id", F.lit(NO_ID))).alias("least")))
+    """(fp, root, least) for each distinct fp of stored ``prints`` (doc_id, fp); ``least`` is the class's first ``id_key``."""
+    distinct = cut(prints.groupBy("fp").agg(F.min(id_key(prints)[0]).alias("own")))
     roots = components(near_links(distinct, distinct.count(), radius, tile))
-    labelled = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    least = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
-    return labelled.join(least, "root").select("fp", "root", "component_id")
+    labelled = distinct.join(roots, distinct.fp == roots.node, "left").select("fp", "own", F.coalesce("root", "fp").alias("root"))
+    # summed by task before the shuffle: a class of very many fingerprints costs a row for each
+    least = labelled.groupBy("root").agg(F.min("own").alias("least"))
+    return labelled.join(least, "root").select("fp", "root", "least")
 
 
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, tile: int = TILE) -> DataFrame:
@@ -267,28 +273,32 @@ def near_duplicates(docs: DataFrame, radius: int = RADIUS, tile: int = TILE) ->
     return prints.join(classes(prints, radius, tile), "fp").select(
         "doc_id",
         F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"),
-        F.nullif("component_id", F.lit(NO_ID)).alias("component_id"),
+        F.nullif("least", id_key(prints)[1]).alias("component_id"),
     )
 
 
-def keep_first(docs: DataFrame) -> DataFrame:
+def keep_first(docs: DataFrame, broadcast_ids: int = BROADCAST_IDS) -> DataFrame:
     """``docs`` with one row of each class of near-duplicates: the least doc_id.
 
-    Rows that share their doc_id and text with the kept one go too.
+    Rows that share their doc_id and text with the kept one go too.  Only the ids that go are joined
+    with the texts, by broadcast where their checked number allows it.
     """
     prints = cut(fingerprints(docs))
-    first = cut(
-        prints.join(classes(prints), "fp")
-        .where(F.coalesce("doc_id", F.lit(NO_ID)) == F.col("component_id"))
-        .groupBy("doc_id").agg(F.count("*").alias("_n"), F.count_distinct("root").alias("_roots"))
-    )
-    single = docs.join(first.where("_n = 1 and doc_id is not null").select("doc_id"), "doc_id", "left_semi").select(*docs.columns)
-    odd = first.where("_n > 1 or doc_id is null")
-    if odd.isEmpty():
+    found = cut(classes(prints))
+    key = id_key(prints)[0]
+    per = prints.join(found, "fp").groupBy("doc_id").agg(F.count("*").alias("n"), F.bool_or(key == F.col("least")).alias("first"))
+    moved = cut(per.where("n > 1 or not first or doc_id is null"))
+    count = moved.agg(F.count("*"), F.count_if(F.expr("n > 1 or doc_id is null"))).first()
+    i, fp, root = fresh(docs.columns, "id", "fp", "root")
+    sent = lambda df: F.broadcast(df) if count[0] <= broadcast_ids else df.hint("merge")
+    gone = moved.where("doc_id is not null").select(F.col("doc_id").alias(i))
+    single = docs.where("doc_id is not null").join(sent(gone), F.col("doc_id") == F.col(i), "left_anti")
+    if not count[1]:
         return single
     # repeated ids: tell their rows apart by fingerprint, keep one for each class
-    some = docs.alias("d").join(odd.select(F.col("doc_id").alias("_id")).alias("o"), F.col("d.doc_id").eqNullSafe(F.col("o._id")), "left_semi")
-    marked = map_texts(some, lambda: lambda texts: {"_fp": [fingerprint(t) for t in texts]}, [T.StructField("_fp", T.LongType())])
-    known = classes(prints).select(F.col("fp").alias("_fp"), F.col("root").alias("_root"), F.col("component_id").alias("_c"))
-    rest = marked.join(known, "_fp").where(F.coalesce("doc_id", F.lit(NO_ID)) == F.col("_c")).dropDuplicates(["_root"])
+    odd = moved.where("n > 1 or doc_id is null").select(F.col("doc_id").alias(i))
+    some = docs.join(sent(odd), F.col("doc_id").eqNullSafe(F.col(i)), "left_semi")
+    marked = map_texts(some, lambda: lambda texts: {fp: [fingerprint(t) for t in texts]}, [T.StructField(fp, T.LongType())])
+    known = found.select(F.col("fp").alias(fp), F.col("root").alias(root), F.col("least").alias(i))
+    rest = marked.join(known, fp).where(id_key(docs)[0] == F.col(i)).dropDuplicates([root])
     return single.unionByName(rest.select(*docs.columns))

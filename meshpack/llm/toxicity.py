@@ -13,7 +13,8 @@ Fitting takes a bounded sample: at most ``MAX_POSITIVE`` toxic rows and ``MAX_UN
 others, chosen by a hash of the id among rows that are not held out.  Scoring covers all rows.
 
 Defined cases: null and empty texts get the score of a text without known features; with no
-positives in the training rows all scores are 0; ties in the sample go by id.
+positives in the training rows all scores are next to 0; ties in the sample go by id; repeated rows
+get equal scores; ids may be of any type; ``drop_toxic`` keeps all columns, whatever their names.
 """
 
 from __future__ import annotations
@@ -23,12 +24,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import map_texts, utf8
+from .common import cut, fresh, map_texts, utf8
 
 MAX_POSITIVE = 3000
 MAX_UNLABELLED = 9000
 DIMENSION = 1 << 20
 FEATURES = 20_000
+#: Positives that must show a feature.
+LEAST = 3
 CUT_OFF = 0.7
 REMEMBERED = 400_000
 
@@ -55,8 +58,8 @@ def features(text: str | None) -> np.ndarray:
     return np.fromiter(found, np.int32, len(found))
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, max_positive: int, max_unlabelled: int):
-    """Feature sets of confirmed toxic and of unlabelled texts, and the class prior."""
+def training_sample(docs: DataFrame, labels: DataFrame, max_positive: int, max_unlabelled: int) -> tuple[DataFrame, float]:
+    """(row, doc_id, side, f), stored: feature sets of confirmed toxic (side 1) and of unlabelled texts; and the class prior."""
     known = labels.where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     share = known.agg(F.count("*").alias("n"), F.sum("toxic").alias("toxic")).first()
     order = F.xxhash64(F.lit("fit"), "doc_id")
@@ -65,22 +68,20 @@ def training_sample(docs: DataFrame, labels: DataFrame, max_positive: int, max_u
     # both lists are bounded by the parameters above
     chosen = docs.select("doc_id", "text").join(F.broadcast(positive.union(others)), "doc_id")
     sets = map_texts(chosen, lambda: lambda texts: {"f": [features(t) for t in texts]}, [T.StructField("f", T.ArrayType(T.IntegerType()))], ["doc_id", "side"])
-    rows = sets.toArrow()
-    prior = (share["toxic"] or 0) / share["n"] if share["n"] else 0.0
-    ids, side, f = rows["doc_id"].to_numpy(), rows["side"].to_numpy(), rows["f"].to_pylist()
-    order = np.lexsort((ids, side))  # rows come in any order; the fit must not depend on it
-    put = lambda s: [np.array(f[i], np.int32) for i in order if side[i] == s]
-    return put(1), put(0), prior
+    return cut(sets.withColumn("row", F.monotonically_increasing_id())), (share["toxic"] or 0) / share["n"] if share["n"] else 0.0
 
 
 class Rows:
     """Sparse rows of feature numbers, with the products that a linear model needs."""
 
-    def __init__(self, sets: list[np.ndarray], place: np.ndarray):
-        kept = [place[s][place[s] >= 0] for s in sets]
-        self.n = len(kept)
-        self.row = np.repeat(np.arange(self.n), [len(k) for k in kept])
-        self.col = np.concatenate(kept) if kept else np.zeros(0, np.int64)
+    def __init__(self, n: int, row: np.ndarray, col: np.ndarray):
+        self.n, self.row, self.col = n, row, col
+
+    @classmethod
+    def of(cls, sets: list[np.ndarray], good: np.ndarray) -> Rows:
+        """Of the features in each set, those among the sorted ``good`` ones, by their place there."""
+        kept = [np.flatnonzero(np.isin(good, s)) for s in sets]
+        return cls(len(kept), np.repeat(np.arange(len(kept)), [len(k) for k in kept]), np.concatenate(kept) if kept else np.zeros(0, np.int64))
 
     def times(self, w: np.ndarray) -> np.ndarray:
         return np.bincount(self.row, w[self.col], self.n)
@@ -89,39 +90,41 @@ class Rows:
         return np.bincount(self.col, r[self.row], d)
 
 
-def fit(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, rounds: int = 400, rate: float = 0.1, decay: float = 1e-4) -> dict:
-    """Weights by gradient descent on the non-negative risk; empty without positives."""
-    nothing = {"index": np.zeros(0, np.int64), "weight": np.zeros(0), "bias": -30.0}
-    if not positive or not unlabelled or prior <= 0:
-        return nothing
-    shown = lambda sets: np.bincount(np.concatenate(sets), minlength=DIMENSION) if sets else np.zeros(DIMENSION)
-    a, b = shown(positive), shown(unlabelled)
-    n, m = len(positive), len(unlabelled)
+def chosen_features(f: np.ndarray, a: np.ndarray, b: np.ndarray, n: int, m: int) -> np.ndarray:
+    """Of features ``f``, shown by ``a`` of ``n`` positives and ``b`` of ``m`` unlabelled texts, the sorted ones that tell."""
     # lift over the rate among unlabelled texts, in standard deviations
     expected = np.maximum(b / m, 1 / m) * n
     z = (a - expected) / np.sqrt(expected)
     lift = (a / n) / np.maximum(b / m, 0.5 / m)
-    good = np.flatnonzero((a >= 3) & (z > 2.5) & (lift > 2))
-    good = np.sort(good[np.argsort(-z[good], kind="stable")][:FEATURES])
-    if not len(good):
-        return nothing
-    place = np.full(DIMENSION, -1)
-    place[good] = np.arange(len(good))
-    p, u = Rows(positive, place), Rows(unlabelled, place)
+    good = np.flatnonzero((a >= LEAST) & (z > 2.5) & (lift > 2))
+    return np.sort(f[good[np.lexsort((f[good], -z[good]))][:FEATURES]])
+
+
+def risk(p: Rows, u: Rows, w: np.ndarray, bias: float, prior: float) -> tuple[float, float]:
+    """Risk of the positive class, and that of the negative one as estimated from unlabelled texts, with logistic losses."""
+    # -log s(f) for the positive class, -log s(-f) for the negative one
+    fp, fu = p.times(w) + bias, u.times(w) + bias
+    return prior * np.logaddexp(0, -fp).mean(), np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
+
+
+def direction(p: Rows, u: Rows, w: np.ndarray, bias: float, prior: float, decay: float) -> np.ndarray:
+    """Gradient for (w, bias) of both risks; where the negative one has fallen below zero, of its ascent alone."""
+    sigmoid = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+    fp, fu = p.times(w) + bias, u.times(w) + bias
+    rise, own = sigmoid(fu) / u.n, -prior * sigmoid(fp) / p.n
+    if risk(p, u, w, bias, prior)[1] >= 0:
+        rp, ru = prior * (sigmoid(fp) - 1) / p.n + own, rise
+    else:  # only climb back: step against the overfitted part
+        rp, ru = -own, -rise
+    return np.append(p.back(rp, len(w)) + u.back(ru, len(w)) + decay * w, rp.sum() + ru.sum())
+
+
+def descend(p: Rows, u: Rows, good: np.ndarray, prior: float, rounds: int = 400, rate: float = 0.1, decay: float = 1e-4) -> dict:
+    """Weights of the ``good`` features by moment-scaled steps down the non-negative risk."""
     w, bias = np.zeros(len(good)), -1.0
     sums, moves = np.zeros(len(good) + 1), np.zeros(len(good) + 1)
-    sigmoid = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
     for step in range(1, rounds + 1):
-        fp, fu = p.times(w) + bias, u.times(w) + bias
-        # logistic losses: -log s(f) for the positive class, -log s(-f) for the negative one
-        negative = np.logaddexp(0, fu).mean() - prior * np.logaddexp(0, fp).mean()
-        gp = prior * (sigmoid(fp) - 1) / p.n
-        nu, np_ = sigmoid(fu) / u.n, -prior * sigmoid(fp) / p.n
-        if negative >= 0:
-            rp, ru = gp + np_, nu
-        else:  # only climb back: step against the overfitted part
-            rp, ru = -np_, -nu
-        grad = np.append(p.back(rp, len(w)) + u.back(ru, len(w)) + decay * w, rp.sum() + ru.sum())
+        grad = direction(p, u, w, bias, prior, decay)
         moves = 0.9 * moves + 0.1 * grad
         sums = 0.99 * sums + 0.01 * grad**2
         move = rate * (moves / (1 - 0.9**step)) / (np.sqrt(sums / (1 - 0.99**step)) + 1e-8)
@@ -129,6 +132,19 @@ def fit(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float,
     return {"index": good, "weight": w, "bias": float(bias)}
 
 
+#: A model that knows nothing scores 0.
+NOTHING = {"index": np.zeros(0, np.int64), "weight": np.zeros(0), "bias": -30.0}
+
+
+def fit(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float) -> dict:
+    """Weights from feature sets in memory; none without positives."""
+    if not positive or not unlabelled or prior <= 0:
+        return NOTHING
+    a, b = (np.bincount(np.concatenate(sets), minlength=DIMENSION) for sets in (positive, unlabelled))
+    good = chosen_features(np.arange(DIMENSION), a, b, len(positive), len(unlabelled))
+    return descend(Rows.of(positive, good), Rows.of(unlabelled, good), good, prior) if len(good) else NOTHING
+
+
 def scorer(model: dict):
     """Kernel over texts; remembers which words have a weighted feature."""
     weight = dict(zip(model["index"].tolist(), model["weight"].tolist()))
@@ -151,7 +167,31 @@ def scorer(model: dict):
 
 
 def trained(docs: DataFrame, labels: DataFrame, max_positive: int = MAX_POSITIVE, max_unlabelled: int = MAX_UNLABELLED) -> dict:
-    return fit(*training_sample(docs, labels, max_positive, max_unlabelled))
+    """The model of a sample.  Features are counted and chosen on the executors; the driver gets at most
+    DIMENSION counts, and of each sampled row the chosen features it has."""
+    spark = docs.sparkSession
+    sets, prior = training_sample(docs, labels, max_positive, max_unlabelled)
+    rows = sets.select("side", F.col("doc_id").cast("string").alias("id"), "row").toArrow().to_pylist()
+    rows.sort(key=lambda r: (-r["side"], len(r["id"]), r["id"], r["row"]))  # rows come in any order; the fit must not depend on it
+    n = sum(r["side"] for r in rows)
+    m = len(rows) - n
+    if not n or not m or prior <= 0:
+        return NOTHING
+    each = sets.select("row", "side", F.explode("f").alias("f"))
+    shown = each.groupBy("f").agg(F.sum("side").alias("a"), F.count("*").alias("n")).where(F.col("a") >= LEAST).toArrow()
+    f, a = shown["f"].to_numpy(), shown["a"].to_numpy()
+    good = chosen_features(f, a, shown["n"].to_numpy() - a, n, m)
+    if not len(good):
+        return NOTHING
+    known = spark.createDataFrame([(int(k),) for k in good], "f int")
+    pairs = each.join(F.broadcast(known), "f").select("row", "f").toArrow()
+    number = {r["row"]: k for k, r in enumerate(rows)}
+    at = np.fromiter(map(number.__getitem__, pairs["row"].to_pylist()), np.int64, len(pairs))
+    col = np.searchsorted(good, pairs["f"].to_numpy())
+    order = np.lexsort((col, at))
+    at, col = at[order], col[order]
+    side = at < n
+    return descend(Rows(n, at[side], col[side]), Rows(m, at[~side] - n, col[~side]), good, prior)
 
 
 def scores(docs: DataFrame, model: dict, keep=None, name: str = "score") -> DataFrame:
@@ -168,5 +208,6 @@ def toxicity(docs: DataFrame, labels: DataFrame, cut_off: float = CUT_OFF) -> Da
 
 def drop_toxic(docs: DataFrame, labels: DataFrame, cut_off: float = CUT_OFF) -> DataFrame:
     """``docs`` without rows that score ``cut_off`` or more, columns unchanged."""
-    got = scores(docs, trained(docs, labels), name="_toxicity")
-    return got.where(F.col("_toxicity") < cut_off).select(*docs.columns)
+    (name,) = fresh(docs.columns, "score")
+    got = scores(docs, trained(docs, labels), name=name)
+    return got.where(F.col(name) < cut_off).select(*docs.columns)

@@ -16,12 +16,17 @@ from meshpack.llm.common import Lookup, tokenizer_path
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
 
+CLASHING = [
+    "n_words", "n_hit", "items", "spans", "score", "fp", "n_tokens", "lines", "row", "kept", "stop", "h", "id", "th", "part", "place", "key", "hit", "found", "root", "gone", "cuts", "salt", "least",
+    "_id", "_th", "_spans", "_toxicity", "_h", "_cuts", "_gone", "_fp", "_root", "_d", "_i", "_n", "_key", "__id", "KEEPER", "_Score",
+]
+
+
 def docs(spark, texts, extra=False):
     rows = [(i, t, "en" if i % 3 else None, f"s{i % 2}" if i % 5 else None, len(t or "")) for i, t in enumerate(texts)]
     df = spark.createDataFrame(rows, SCHEMA)
     if extra:  # names that operators use themselves
-        for c in ("n_words", "score", "fp", "items", "n_tokens", "lines", "row", "kept", "spans", "h", "stop", "id", "th", "part"):
-            df = df.withColumn(c, F.lit("own"))
+        df = df.withColumns({c: F.lit("own") for c in CLASHING})
     return df
 
 
@@ -401,6 +406,94 @@ def test_substring_dedup(spark):
     assert cleaned[14] is None
 
 
+def plain_chunks(text):
+    """(start, stop, words, covered bytes, covered words ahead) of every chunk, byte by byte."""
+    raw = (text or "").encode()
+    if not raw:
+        return []
+    white, h, hashes, since = b"\t\n\x0b\x0c\r ", 0, [], []
+    for i, b in enumerate(raw):
+        h = (h << 1) + int(chunk_dedup.GEAR[b]) & 0xFFFFFFFF
+        hashes.append(h)
+        since.append(0 if b in white else (since[-1] if since else 0) + 1)
+    places = []
+    for i in range(len(raw) - 1):
+        a, b = raw[i], raw[i + 1]
+        soft = a in white and b not in white
+        hard = len(raw) > 64 and since[i] > 64 and hashes[i] < 2**30 and b & 0xC0 != 0x80 and b not in white
+        if soft or hard:
+            places.append((i + 1, hashes[i]))
+    chosen = set()
+    for lo in range(len(places) - 15):
+        window = places[lo : lo + 16]
+        least = min(x for _, x in window)
+        chosen.add(max(lo + k for k, (_, x) in enumerate(window) if x == least))
+    thin = []
+    for k in sorted(chosen):
+        if not thin or places[k][1] != places[thin[-1]][1] or k - thin[-1] >= 16:
+            thin.append(k)
+    ends, last = [], 0
+    for p in [*(places[k][0] for k in thin), len(raw)]:
+        while p - last > 512:
+            stop = raw.rfind(b" ", last + 32, last + 512) + 1
+            if not stop:
+                stop = last + 512
+                while stop > last + 1 and raw[stop] & 0xC0 == 0x80:
+                    stop -= 1
+            ends.append(stop)
+            last = stop
+        ends.append(p)
+        last = p
+    out, last = [], 0
+    for stop in ends:
+        before = [p for p, _ in places if p < stop]
+        first = min(before[-16] if len(before) >= 16 else 0, last)
+        out.append((last, stop, len(raw[last:stop].split()), raw[first:stop], len(raw[first:last].split())))
+        last = stop
+    return out
+
+
+def plain_removals(texts):
+    """By document the bytes that go: later copies in runs of 16 words or more, or whole texts."""
+    chunks = [plain_chunks(t) for t in texts]
+    first, count = {}, Counter()
+    for i, cs in enumerate(chunks):
+        for k, c in enumerate(cs):
+            first.setdefault(c[3], (i, k))
+            count[c[3]] += 1
+    out = []
+    for i, cs in enumerate(chunks):
+        later = [count[c[3]] > 1 and first[c[3]] != (i, k) for k, c in enumerate(cs)]
+        gone, k = set(), 0
+        while k < len(cs):
+            if not later[k]:
+                k += 1
+                continue
+            run = [j for j in range(k, len(cs)) if all(later[k : j + 1])]
+            low, high = cs[k][1] - len(cs[k][3]), cs[run[-1]][1]
+            n = cs[k][4] + sum(cs[j][2] for j in run)
+            if max(n, (high - low) // 8) >= 16 or len(run) == len(cs):
+                gone |= set(range(low, high))
+            k = run[-1] + 1
+        out.append(gone)
+    return out
+
+
+def test_substring_dedup_against_plain_version(spark):
+    rng = random.Random(17)
+    pool = ["".join(rng.choices("abcdefghij", k=rng.randint(2, 8))) for _ in range(300)]
+    shared = [words_of(rng, n, pool) for n in (12, 20, 40, 90)] + ["漢字" * 200]
+    texts = [words_of(rng, rng.randint(5, 60), pool) + " " + rng.choice(shared) + rng.choice([" ", "\n"]) + words_of(rng, rng.randint(0, 60), pool) for _ in range(60)]
+    texts += [texts[0], texts[3], "same " * 400, "same " * 300, *AWKWARD]
+    want = plain_removals(texts)
+    for i, t in enumerate(texts):
+        assert [c[1] for c in plain_chunks(t)] == (list(map(int, chunk_dedup.chunks_of(t)[2])) if t else [])
+    got = {r.doc_id: r for r in chunk_dedup.substring_dedup(docs(spark, texts)).collect()}
+    for i in range(len(texts)):
+        assert {b for a, z in got[i].cuts or [] for b in range(a, z)} == want[i], i
+        assert got[i].removed_bytes == len(want[i])
+
+
 # ---- toxicity ----------------------------------------------------------------------------------
 
 
@@ -417,6 +510,51 @@ def test_risk_learns_from_positives_and_unlabelled():
     assert toxicity.fit([], unlabelled, 0.1)["bias"] == -30 and len(toxicity.fit(positive, unlabelled, 0)["index"]) == 0
 
 
+def test_risk_and_gradient_are_those_of_a_plain_sum():
+    rng = random.Random(13)
+    d, prior, decay = 6, 0.3, 1e-3
+    made = lambda n, bad: [sorted(rng.sample(range(d), rng.randint(0, 3)) + ([0] if bad and rng.random() < 0.9 else [])) for _ in range(n)]
+    for bias in (-1.0, 0.4, 3.0, -6.0):
+        positive, unlabelled = [sorted(set(x)) for x in made(7, True)], [sorted(set(x)) for x in made(11, False)]
+        good = np.arange(d)
+        p, u = (toxicity.Rows.of([np.array(x, np.int32) for x in sets], good) for sets in (positive, unlabelled))
+        w = np.array([rng.uniform(-2, 2) for _ in range(d)])
+
+        def plain(w, bias):
+            loss = lambda z: float(np.log1p(np.exp(-z)))
+            f = lambda x: sum(w[k] for k in x) + bias
+            plus = prior * sum(loss(f(x)) for x in positive) / len(positive)
+            minus = sum(loss(-f(x)) for x in unlabelled) / len(unlabelled) - prior * sum(loss(-f(x)) for x in positive) / len(positive)
+            return plus, minus
+
+        plus, minus = plain(w, bias)
+        assert np.allclose(toxicity.risk(p, u, w, bias, prior), (plus, minus))
+
+        def objective(w, bias):  # what is stepped down: both risks, or the way out of a negative one
+            a, b = plain(w, bias)
+            return (a + b if minus >= 0 else -b) + decay / 2 * float(w @ w)
+
+        grad, e = toxicity.direction(p, u, w, bias, prior, decay), 1e-6
+        for k in range(d):
+            step = np.eye(d)[k] * e
+            assert abs(grad[k] - (objective(w + step, bias) - objective(w - step, bias)) / (2 * e)) < 1e-6
+        assert abs(grad[d] - (objective(w, bias + e) - objective(w, bias - e)) / (2 * e)) < 1e-6
+    # both branches were seen: a negative estimate needs positives that score high
+    assert toxicity.risk(toxicity.Rows.of([np.array([0])] * 9, np.arange(1)), toxicity.Rows.of([np.array([], int)] * 9, np.arange(1)), np.array([9.0]), -5.0, 0.5)[1] < 0
+
+
+def test_model_of_executors_is_that_of_memory(spark):
+    rng = random.Random(14)
+    texts = [words(rng, 30) + (f" vile{rng.choice(['ist', 'ful', 'ous'])} vileness" if i % 4 == 0 else "") for i in range(400)]
+    d = docs(spark, texts)
+    labels = spark.createDataFrame([(i, 1, int(i % 4 == 0)) for i in range(0, 400, 2)], "doc_id long, quality int, toxic int")
+    got = toxicity.trained(d, labels)
+    sets, prior = toxicity.training_sample(d, labels, toxicity.MAX_POSITIVE, toxicity.MAX_UNLABELLED)
+    rows = sorted(sets.collect(), key=lambda r: r.doc_id)
+    want = toxicity.fit(*([np.array(r.f) for r in rows if r.side == k] for k in (1, 0)), prior)
+    assert len(got["index"]) and got["index"].tolist() == want["index"].tolist() and np.allclose(got["weight"], want["weight"]) and abs(got["bias"] - want["bias"]) < 1e-9
+
+
 def test_toxicity(spark):
     rng = random.Random(9)
     bad = [f"vile{x}" for x in ("ist", "ful", "ous", "est")]
@@ -640,3 +778,94 @@ def test_conversations(spark):
         spark.conf.set("spark.sql.shuffle.partitions", "4")
     assert all((again[c].text, again[c].cost) == (got[c].text, got[c].cost) for c in got)
     assert chat_repair.repair_roles(df.limit(0)).count() == 0
+
+
+# ---- what holds for all ------------------------------------------------------------------------
+
+
+def tables(spark, d, ids=lambda c: c):
+    rng = random.Random(31)
+    item = spark.createDataFrame([(1, words(rng, 20)), (2, None)], "item_id long, text string")
+    labels = spark.createDataFrame([(i, 1, int(i % 4 == 0)) for i in range(0, 60)], "doc_id long, quality int, toxic int")
+    return {
+        "op2": lambda: decontaminate.report(d, item), "op3": lambda: chunk_dedup.substring_dedup(d).drop("cuts"), "op4": lambda: toxicity.toxicity(d, ids(labels)),
+        "op5": lambda: quality_lm.quality(d, ids(labels)), "op6": lambda: token_count.token_counts(d, keep=["doc_id"]), "op7": lambda: sp_sampling.segmentations(d, k=2, with_ids=False),
+        "op8": lambda: line_rules.line_rules(d), "op9": lambda: secret_scan.report(d), "op10": lambda: simhash.near_duplicates(d),
+        "kept2": lambda: decontaminate.drop_contaminated(d, item), "kept3": lambda: chunk_dedup.cut_repeats(d), "kept4": lambda: toxicity.drop_toxic(d, ids(labels)), "kept5": lambda: quality_lm.keep_fluent(d, ids(labels)),
+        "kept8": lambda: line_rules.strip_lines(d), "kept9": lambda: secret_scan.redact(d), "kept10": lambda: simhash.keep_first(d),
+    }
+
+
+def some_texts():
+    rng = random.Random(32)
+    item = words(random.Random(31), 20)
+    return [
+        *AWKWARD, *(words(rng, 30) + (" vileness vileful" if i % 4 == 0 else "") for i in range(len(AWKWARD), 70)), f"{words(rng, 9)} {item}", words(rng, 40) + " password=hunter22x user: bob",
+        *(f"{words(rng, 15)}\nThe shared line 7\n{words(rng, 15)}" for _ in range(30)), "same text again and once more " * 3, "same text again and once more " * 3,
+    ]
+
+
+def by_id(rows):
+    out = {}
+    for r in rows:
+        out.setdefault(r.doc_id, []).append(repr(sorted((k, v) for k, v in r.asDict(True).items() if k != "held_out")))
+    return {k: sorted(v) for k, v in out.items()}
+
+
+def test_empty_tables(spark):
+    none = docs(spark, ["x"], extra=True).limit(0)
+    for name, run in tables(spark, none).items():
+        assert run().count() == 0, name
+    turns = spark.createDataFrame([], "conv_id long, turn long, role string, text string")
+    assert chat_repair.repair_roles(turns).count() == 0 and chat_repair.rendered(turns).count() == 0
+
+
+def test_clashing_names(spark):
+    """Operators that pass on documents leave the user's columns as they are, whatever their names."""
+    d = docs(spark, some_texts(), extra=True)
+    d = d.unionByName(d.where("doc_id < 5"))  # repeated ids take keep_first's longer way
+    for name, run in tables(spark, d).items():
+        if name.startswith("kept"):
+            out = run()
+            assert out.columns == d.columns, name
+            assert out.count() > 50 and out.where(" or ".join(f"{c} <> 'own' or {c} is null" for c in CLASHING)).count() == 0, name
+    turns = spark.createDataFrame([(c, t, "user", "x", "own", "own") for c in range(3) for t in range(40)], "conv_id long, turn long, role string, text string, part string, _part string")
+    spark.conf.set("spark.sql.shuffle.partitions", "9")
+    try:
+        out = chat_repair.repair_roles(turns)
+        assert out.where("part = 'own' and _part = 'own'").count() == 120
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", "4")
+
+
+def test_text_ids(spark):
+    """Ids that are texts give what whole numbers of the same order give."""
+    named = lambda df: df.withColumn("doc_id", F.format_string("d%05d", "doc_id"))
+    d = docs(spark, some_texts())
+    plain, other = tables(spark, d), tables(spark, named(d), named)
+    for name in plain:
+        if name in ("op4", "kept4", "op7"):  # draws and samples go by the id itself
+            assert other[name]().select("doc_id").distinct().count() > 50, name
+            continue
+        want, got = plain[name]().collect(), other[name]().collect()
+        change = lambda k, v: (f"d{v:05d}" if v is not None else v) if k in ("doc_id", "component_id") else [f"d{x:05d}" for x in v] if k == "first_doc_ids" else v
+        assert sorted(repr(sorted((k, change(k, v)) for k, v in r.asDict(True).items())) for r in want) == sorted(repr(sorted(r.asDict(True).items())) for r in got), name
+
+
+def test_repeated_rows(spark):
+    """Rows that repeat get what one of them gets; a filter keeps both or none, a deduplication one."""
+    d = docs(spark, some_texts())
+    once, twice = tables(spark, d), tables(spark, d.unionByName(d))
+    for name in ("op2", "op6", "op7", "op9", "op10", "op8", "kept2", "kept9", "kept8"):
+        assert {k: v * 2 for k, v in by_id(once[name]().collect()).items()} == {k: v for k, v in by_id(twice[name]().collect()).items()} or name == "op7", name
+    for name in ("op4", "op5", "op7", "kept4", "kept5"):
+        for k, v in by_id(twice[name]().collect()).items():
+            half = sorted(v)
+            assert half[::2] == half[1::2], (name, k)
+    assert sorted(r.doc_id for r in twice["kept10"]().collect()) == sorted(r.doc_id for r in once["kept10"]().collect())
+
+
+def test_components_that_do_not_settle_say_so(spark):
+    chain = spark.createDataFrame([(i, i + 1) for i in range(60)], "a long, b long")
+    with pytest.raises(RuntimeError):
+        simhash.components(chain, rounds=1)
