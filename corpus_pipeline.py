@@ -32,8 +32,8 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A sampled segmentation of every document, with its piece ids."""
-    return sp_sampling.segmentations(docs, k=1, with_ids=True)
+    """A sampled segmentation of every document, with its piece ids, beside its language and source."""
+    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"))
 
 
 STAGES = [
