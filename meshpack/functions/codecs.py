@@ -174,13 +174,27 @@ def varint_encode(bits) -> bytes:
     b = np.asarray(np.frombuffer(bits, np.uint8) if isinstance(bits, bytes) else bits, np.uint8)
     if not len(b):
         return b""
-    out = bytearray([b[0]])
-    for n in run_lengths(b)[1].tolist():
-        while n > 127:
-            out.append(n & 127 | 128)
-            n >>= 7
-        out.append(n)
-    return bytes(out)
+    lengths = run_lengths(b)[1]
+    size = 1 + (lengths[:, None] >= 128 ** np.arange(1, 9)).sum(axis=1)
+    at = np.cumsum(size) - size
+    out = np.zeros(int(size.sum()), np.uint8)
+    for k in range(int(size.max())):
+        some = size > k
+        out[at[some] + k] = lengths[some] >> 7 * k & 127 | np.where(size[some] > k + 1, 128, 0)
+    return bytes([b[0]]) + out.tobytes()
+
+
+def varint_decode(code: bytes) -> np.ndarray:
+    """The bits of such a stream."""
+    c = np.frombuffer(code, np.uint8)
+    if not len(c):
+        return np.zeros(0, np.uint8)
+    body = c[1:].astype(np.int64)
+    last = np.flatnonzero(body < 128)
+    first = np.concatenate([[0], last[:-1] + 1])
+    place = np.arange(len(body)) - np.repeat(first, last - first + 1)
+    lengths = np.add.reduceat((body & 127) << 7 * place, first)
+    return np.repeat((c[0] ^ (np.arange(len(lengths)) & 1)).astype(np.uint8), lengths)
 
 
 # ---- parent XOR ------------------------------------------------------------------------------
@@ -191,15 +205,8 @@ def _views(values: np.ndarray) -> np.ndarray:
 
 
 def _clz(x: np.ndarray, width: int) -> np.ndarray:
-    n = np.full(x.shape, width, np.int64)
-    at, left = x.copy(), np.zeros(x.shape, np.int64)
-    for s in (32, 16, 8, 4, 2, 1):
-        big = at >> np.uint64(s) != 0
-        left[big] += s
-        at[big] >>= np.uint64(s)
-    some = x != 0
-    n[some] = width - 1 - left[some]
-    return n
+    """Leading zeros, from the exponent as a double; the bit behind the first is cleared, so nothing rounds up."""
+    return width - np.frexp((x & ~(x >> np.uint64(1))).astype(np.float64))[1].astype(np.int64)
 
 
 class Bits:
@@ -240,18 +247,42 @@ class Bits:
         return np.where(widths > 0, both >> ((64 - widths) & 63).astype(np.uint64), np.uint64(0))
 
 
-def parents_of(refined: np.ndarray, level_cells, dim: int) -> np.ndarray:
-    """Place of each cell's parent; -1 for roots."""
-    n = np.asarray(level_cells)
-    return np.concatenate([np.full(int(n[0]), -1, np.int64), np.repeat(np.flatnonzero(refined), 1 << dim)])[: int(n.sum())]
+def _residues(values: np.ndarray, refined: np.ndarray, level_cells, dim: int, how: str) -> tuple[int, np.ndarray, np.ndarray]:
+    """Number of cells ahead of the first pack, their bits, and the residues as packs of siblings.
 
+    Packs come in the order of their refined parents, so predictions are those cells' values, one a pack.
+    """
+    roots, pack = int(level_cells[0]), 1 << dim
+    own = values.view(np.uint64 if values.dtype.itemsize == 8 else np.uint32)
+    if how == "previous":  # a chain over all cells in packs, the first cells raw
+        return roots, own[:roots], (own[roots:] ^ own[roots - 1 : -1]).reshape(-1, pack)
+    above = values[refined != 0]
+    if how == "parent_share":
+        above = above / values.dtype.type(pack)
+    return roots, own[:roots], own[roots:].reshape(-1, pack) ^ above.view(own.dtype)[:, None]
 
-def predicted(values: np.ndarray, parent: np.ndarray, how: str, dim: int) -> np.ndarray:
-    """What each cell is predicted to be: its parent's value or share, or the value before it."""
-    if how == "previous":
-        return np.concatenate([values[:1], values[:-1]])[: len(values)]
-    at = values[np.maximum(parent, 0)]
-    return at / values.dtype.type(1 << dim) if how == "parent_share" else at
+
+def _leads(packs: np.ndarray, width: int, k: int) -> np.ndarray:
+    """Header of each pack: the leading zeros of all its residues, as far as ``k`` bits can tell."""
+    both = packs[:, 0].copy()
+    for j in range(1, packs.shape[1]):
+        both |= packs[:, j]
+    return np.minimum(_clz(both.astype(np.uint64), width), min((1 << k) - 1, width))
+
+
+def _alike(lead: np.ndarray, start: np.ndarray):
+    """(lead, bit within a byte, numbers of the packs) for packs of equal header and phase: what is written or
+    read for these differs in values only, so it takes the same few shifts for all."""
+    kind = lead * 8 + (start & 7)
+    order = np.argsort(kind.astype(np.int16), kind="stable")
+    cuts = np.flatnonzero(np.diff(kind[order])) + 1
+    for some in np.split(order, cuts) if len(order) else ():
+        yield int(kind[some[0]]) >> 3, int(kind[some[0]]) & 7, some
+
+
+def _spans(raw: np.ndarray, size: int) -> np.ndarray:
+    """The ``size`` bytes from each place on, as single items that are moved at once."""
+    return np.ndarray((len(raw) - size + 1,), f"V{size}", raw, strides=(1,))
 
 
 def pxor_encode(values: np.ndarray, refined: np.ndarray, level_cells, dim: int, k: int = 4, how: str = "parent") -> tuple[bytes, list[int]]:
@@ -259,79 +290,133 @@ def pxor_encode(values: np.ndarray, refined: np.ndarray, level_cells, dim: int,
     a header of ``k`` bits and the residues without their common leading zeros."""
     values = np.ascontiguousarray(values)
     width, pack = values.dtype.itemsize * 8, 1 << dim
-    roots = int(level_cells[0])
-    if how == "previous":  # a chain over all cells in packs, the first cells raw
-        res = _views(values) ^ _views(predicted(values, None, how, dim))
-    else:
-        res = _views(values) ^ _views(predicted(values, parents_of(refined, level_cells, dim), how, dim))
-    packs = res[roots:].reshape(-1, pack)
-    lead = np.minimum(_clz(np.bitwise_or.reduce(packs, axis=1), width), min((1 << k) - 1, width))
-    fields = np.concatenate([lead[:, None].astype(np.uint64), packs], axis=1)
-    widths = np.concatenate([np.full((len(packs), 1), k), np.repeat((width - lead)[:, None], pack, axis=1)], axis=1)
-    all_values = np.concatenate([_views(values[:roots]), fields.ravel()])
-    all_widths = np.concatenate([np.full(roots, width), widths.ravel()])
-    per_pack = k + pack * (width - lead)
-    ends = np.concatenate([[0], np.cumsum(per_pack)]) + roots * width
-    first_pack = (np.cumsum(level_cells)[:-1] - roots) // pack
-    return Bits.write(all_values, all_widths), [0, *(int(ends[p]) for p in first_pack)]
+    roots, raw, packs = _residues(values, refined, level_cells, dim, how)
+    lead = _leads(packs, width, k) if len(packs) else np.zeros(0, np.int64)
+    ends = np.concatenate([[0], np.cumsum(k + pack * (width - lead))]) + roots * width
+    first = [0, *(int(ends[p]) for p in (np.cumsum(level_cells)[:-1] - roots) // pack)]
+    head = raw.astype(raw.dtype.newbyteorder(">")).tobytes()
+    if not len(packs):
+        return head, first
+    # each pack puts the bytes from the one it begins in to before the one the next begins in; what is
+    # left of it is joined to that one
+    byte = (ends >> 3) - (ends[0] >> 3)
+    out, tail = np.zeros(int(byte[-1]) + 1, np.uint8), np.zeros(len(packs), np.uint8)
+    for n, phase, some in _alike(lead, ends[:-1]):
+        w, at = width - n, phase + k
+        words = np.zeros(((at + pack * w + 63) // 64 + 1, len(some)), np.uint64)  # a row for all packs' words in turn
+        words[0] = n << (64 - at)
+        each = np.ascontiguousarray(packs[some].T, np.uint64)
+        for j in range(pack if w else 0):
+            word, over = at >> 6, (at & 63) + w - 64
+            if over > 0:
+                words[word] |= each[j] >> np.uint64(over)
+                words[word + 1] = each[j] << np.uint64(64 - over)
+            else:
+                words[word] |= each[j] << np.uint64(-over)
+            at += w
+        got = np.ascontiguousarray(words.T, ">u8").view(np.uint8)
+        size = at >> 3
+        if size:
+            _spans(out, size)[byte[some]] = np.ascontiguousarray(got[:, :size]).view(f"V{size}").ravel()
+        tail[some] = got[:, size]
+    np.bitwise_or.at(out, byte[1:], tail)
+    return head + out[: int(ends[-1] + 7 >> 3) - int(ends[0] >> 3)].tobytes(), first
 
 
 def pxor_decode(data: bytes, refined: np.ndarray, level_cells, dim: int, dtype="float64", k: int = 4, how: str = "parent", max_level: int | None = None, level_bits=None) -> np.ndarray:
-    """Values of all cells, or of the levels down to ``max_level``: top-down, as levels need those above.
-
-    Headers tell where the next pack begins, so a level's are read in turn and its residues at once.
-    """
+    """Values of all cells, or of the levels down to ``max_level``: top-down, as levels need those above."""
     dtype = np.dtype(dtype)
     width, pack = dtype.itemsize * 8, 1 << dim
-    unsigned = np.uint64 if width == 64 else np.uint32
-    words = Bits.words(data)
+    unsigned = np.dtype(np.uint64 if width == 64 else np.uint32)
     levels = list(level_cells) if max_level is None else list(level_cells)[: max_level + 1]
-    roots = int(levels[0])
-    out = np.zeros(int(sum(levels)), dtype)
-    out[:roots] = Bits.read(words, np.arange(roots) * width, np.full(roots, width)).astype(unsigned).view(dtype)
+    roots, cells = int(levels[0]), int(sum(levels))
+    out = np.empty(cells, unsigned)
+    out[:roots] = np.frombuffer(data, unsigned.newbyteorder(">"), roots)
+    packs = (cells - roots) // pack
+    starts, lead = _headers(data, roots * width, packs, k, pack, width)
+    # a pack's bytes, and enough behind the last for the words that are read
+    room = (width * pack + k + 7) // 64 * 8 + 16
+    padded = np.frombuffer(data + bytes(room), np.uint8)
+    windows = _spans(padded, room)
+    res = out[roots:].reshape(-1, pack)
+    for n, phase, some in _alike(lead, starts):
+        w, at = width - n, phase + k
+        if not w:
+            res[some] = 0
+            continue
+        words = np.ascontiguousarray(windows[starts[some] >> 3].view(">u8").reshape(len(some), -1).T, np.uint64)
+        each = np.empty((pack, len(some)), unsigned)
+        for j in range(pack):
+            word, off = at >> 6, at & 63
+            v = words[word] << np.uint64(off)
+            if off + w > 64:
+                v |= words[word + 1] >> np.uint64(64 - off)
+            each[j] = v >> np.uint64(64 - w)
+            at += w
+        res[some] = each.T
     if how == "previous":
-        raise NotImplementedError("the chain of previous values is a size yardstick only")
-    at, done, above = roots * width, roots, 0
-    for k_level in range(1, len(levels)):
-        n = int(levels[k_level])
-        packs = n // pack
-        starts, lead = _headers(words, at, packs, k, pack, width)
-        parents = np.flatnonzero(refined[above : above + int(levels[k_level - 1])]) + above
-        where = starts[:, None] + k + (width - lead)[:, None] * np.arange(pack)
-        res = Bits.read(words, where.ravel(), np.repeat(width - lead, pack))
-        guess = predicted(out, parents, how, dim)
-        views = np.repeat(_views(np.ascontiguousarray(guess)), pack) ^ res
-        out[done : done + n] = views.astype(unsigned).view(dtype)
-        at = int(starts[-1] + k + pack * (width - lead[-1])) if packs else at
-        above, done = done, done + n
+        return _chained(out, roots).view(dtype)
+    values = out.view(dtype)
+    above, done = 0, roots
+    for n, m in zip(levels, levels[1:]):
+        guess = values[above : above + int(n)][refined[above : above + int(n)] != 0]
+        if how == "parent_share":
+            guess = guess / dtype.type(pack)
+        out[done : done + int(m)].reshape(-1, pack)[:] ^= guess.view(unsigned)[:, None]
+        above, done = done, done + int(m)
+    return values
+
+
+def _chained(out: np.ndarray, roots: int) -> np.ndarray:
+    """Values of a chain of previous ones: each is the exclusive-or of all residues up to it."""
+    out[roots - 1 :] = np.bitwise_xor.accumulate(out[roots - 1 :])
     return out
 
 
-def _headers(words: np.ndarray, at: int, packs: int, k: int, pack: int, width: int) -> tuple[np.ndarray, np.ndarray]:
+def _headers(data: bytes, at: int, packs: int, k: int, pack: int, width: int) -> tuple[np.ndarray, np.ndarray]:
     """Start and header of each pack from bit ``at`` on.
 
-    Each header gives the step to the next; the loop keeps to plain integers over a local list.
+    A header tells where the next one is, so they are walked in turn.  Where packs begin at half
+    bytes, the walk is over a list of those, by a table of steps.
     """
-    starts, lead = np.zeros(packs, np.int64), np.zeros(packs, np.int64)
-    if k == 0:
-        return at + np.arange(packs) * pack * width, lead
-    flat, mask = words.tolist() if packs > 64 else words, (1 << k) - 1
-    for i in range(packs):
-        starts[i] = at
-        word, off = at >> 6, at & 63
-        both = (int(flat[word]) << 64) | int(flat[word + 1])
-        n = both >> (128 - off - k) & mask
-        lead[i] = n
-        at += k + pack * (width - n)
-    return starts, lead
+    if k == 0 or not packs:
+        return at + np.arange(packs) * pack * width, np.zeros(packs, np.int64)
+    if k == 4 and pack >= 4:
+        whole = np.frombuffer(data, np.uint8)
+        half = np.empty((len(whole), 2), np.uint8)
+        np.right_shift(whole, 4, out=half[:, 0])
+        np.bitwise_and(whole, 15, out=half[:, 1])
+        nibbles, place = half.tobytes(), at >> 2
+        step = [1 + pack * (width - min(n, width)) // 4 for n in range(16)]
+        found = []
+        add = found.append
+        for _ in range(packs):
+            add(place)
+            place += step[nibbles[place]]
+        places = np.array(found, np.int64)
+        return places * 4, half.ravel()[places].astype(np.int64)
+    return _walk(data, at, packs, k, [k + pack * (width - min(n, width)) for n in range(1 << k)])
+
+
+def _walk(data: bytes, at: int, packs: int, k: int, step: list[int]) -> tuple[np.ndarray, np.ndarray]:
+    """Start and header of each pack, where a header of ``k`` bits, eight at most, tells the bits to the next."""
+    whole = np.frombuffer(data + bytes(2), np.uint8).astype(np.uint16)
+    pairs = memoryview(whole[:-1] << 8 | whole[1:])
+    shifts, mask = [16 - k - off for off in range(8)], (1 << k) - 1
+    starts, lead = [], []
+    for _ in range(packs):
+        n = pairs[at >> 3] >> shifts[at & 7] & mask
+        starts.append(at)
+        lead.append(n)
+        at += step[n]
+    return np.array(starts, np.int64), np.array(lead, np.int64)
 
 
 def pxor_bits(values: np.ndarray, refined: np.ndarray, level_cells, dim: int, k: int = 4, how: str = "parent") -> int:
     values = np.ascontiguousarray(values)
-    width, pack, roots = values.dtype.itemsize * 8, 1 << dim, int(level_cells[0])
-    res = _views(values) ^ _views(predicted(values, parents_of(refined, level_cells, dim), how, dim))
-    lead = np.minimum(_clz(np.bitwise_or.reduce(res[roots:].reshape(-1, pack), axis=1), width), min((1 << k) - 1, width))
-    return roots * width + int((k + pack * (width - lead)).sum())
+    width, pack = values.dtype.itemsize * 8, 1 << dim
+    roots, _, packs = _residues(values, refined, level_cells, dim, how)
+    return roots * width + (int((k + pack * (width - _leads(packs, width, k))).sum()) if len(packs) else 0)
 
 
 # ---- other codecs ----------------------------------------------------------------------------
@@ -377,13 +462,9 @@ def block_encode(raw: bytes) -> bytes:
 def block_decode(data: bytes, n: int) -> bytes:
     words = Bits.words(data)
     blocks = -(-n // 32)
-    out, at = np.zeros((blocks, 4), np.int64), 0
-    flat = words.tolist()
-    starts, lead = np.zeros(blocks, np.int64), np.zeros(blocks, np.int64)
-    for i in range(blocks):
-        both = (flat[at >> 6] << 64) | flat[(at >> 6) + 1]
-        starts[i], lead[i] = at, both >> (122 - (at & 63)) & 63
-        at += 6 + 64 + 3 * (64 - int(lead[i]))
+    out = np.zeros((blocks, 4), np.int64)
+    # a pack of three behind each block's header and first value, walked like packs of siblings
+    starts, lead = _walk(data, 0, blocks, 6, [70 + 3 * (64 - m) for m in range(64)])
     cols = [Bits.read(words, starts + 6, np.full(blocks, 64))]
     cols += [Bits.read(words, starts + 70 + k * (64 - lead), 64 - lead) for k in range(3)]
     zig = np.stack(cols, axis=1)

@@ -38,7 +38,7 @@ def codec_report(packed: DataFrame, array: str, labels, dtype: str | None = None
         if label == "run52":
             return codecs.run52_encode, lambda b, n: codecs.run52_decode(b).tobytes()
         if label == "varint":
-            return codecs.varint_encode, None
+            return codecs.varint_encode, lambda b, n: codecs.varint_decode(b).tobytes()
         if label.startswith("pxor"):
             refined = np.frombuffer(row["refined"], np.uint8)
             args = (refined, row["level_cells"], row["dim"])

@@ -56,14 +56,64 @@ def pack_bits(lead: Column, dim: int, k: int, width: int) -> Column:
     return (k + (1 << dim) * (width - F.least(lead, F.lit(min((1 << k) - 1, width))))).cast("long")
 
 
+def pack_leads(local: DataFrame, dim: int, fields: dict[str, str], how: str = "parent", by: tuple[str, ...] = ("domain",)) -> DataFrame:
+    """(by, level, parent, and for each name a lead): leading zeros of every pack for several fields at once.
+
+    ``fields`` maps a name to ``column:dtype``.  An OR of exclusive-ors with one value follows from the
+    children's OR and AND: where the value has a zero bit it is the OR's, elsewhere the inverse of the
+    AND's.  So children are summed up to a row a pack, map-side first, before the join with parents,
+    and one shuffle and one join serve all fields.
+    """
+    spec = {n: x.split(":") for n, x in fields.items()}
+    for f, _ in spec.values():
+        if f not in local.columns:
+            raise MissingCoarseValues(f)
+    keys = [*by, "level", "parent"]
+    child = local.select(*by, "level", shr("path", dim).alias("parent"), *(view(F.col(f), t).alias(n) for n, (f, t) in spec.items()))
+    packs = child.groupBy(*keys).agg(*(x for n in spec for x in (F.bit_or(n).alias(f"{n}_or"), F.bit_and(n).alias(f"{n}_and"))))
+    value = lambda f: F.col(f) / float(1 << dim) if how == "parent_share" else F.col(f)
+    up = local.where("refined").select(*by, (F.col("level") + 1).alias("level"), F.col("path").alias("parent"), *(view(value(f), t).alias(f"{n}_up") for n, (f, t) in spec.items()))
+    differ = lambda n: F.col(f"{n}_or").bitwiseAND(F.bitwise_not(f"{n}_up")).bitwiseOR(F.bitwise_not(f"{n}_and").bitwiseAND(F.col(f"{n}_up")))
+    return packs.join(up, keys).select(*keys, *(bits.leading_zeros(differ(n), WIDTH[t]).alias(n) for n, (_, t) in spec.items()))
+
+
+def sizes_of(local: DataFrame, dim: int, fields: dict[str, str], k: int = 4, how: str = "parent", root_level: int = 0) -> DataFrame:
+    """(domain, name, n_cells, enc_bits, enc_bytes) of the streams of several fields, by one join; see ``pack_leads``."""
+    width = {n: WIDTH[x.split(":")[1]] for n, x in fields.items()}
+    leads = pack_leads(local, dim, fields, how)
+    per = leads.groupBy("domain").agg(*(F.sum(pack_bits(F.col(n), dim, k, w)).alias(n) for n, w in width.items()))
+    cells = local.groupBy("domain").agg(F.count("*").alias("n_cells"), F.count_if(F.col("level") == root_level).alias("roots"))
+    total = lambda n: F.coalesce(n, F.lit(0)) + width[n] * F.col("roots")
+    each = cells.join(per, "domain", "left").select("domain", "n_cells", F.explode(F.array(*(F.struct(F.lit(n).alias("name"), total(n).cast("long").alias("enc_bits")) for n in fields))).alias("x"))
+    return each.select("domain", "x.name", "n_cells", "x.enc_bits", F.ceil(F.col("x.enc_bits") / 8).cast("long").alias("enc_bytes"))
+
+
+def shift_bits(v: Column, by: int, dtype: str = "float64") -> Column:
+    """The bits of ``v`` moved on by a constant, modulo 2 to the width: the reversible form of a shift, ``-by`` undoes it.
+
+    Sums wrap at the width, so this needs no float arithmetic and loses nothing, whatever the values.
+    """
+    width = WIDTH[dtype]
+    if width == 64:  # wrapped in halves: whole sums of 64 bits may not overflow
+        low, high = by & 0xFFFFFFFF, by >> 32 & 0xFFFFFFFF
+        a = v.bitwiseAND(F.lit(0xFFFFFFFF)) + F.lit(low)
+        b = F.shiftrightunsigned(v, 32) + F.lit(high) + shr(a, 32)
+        return F.shiftleft(b.bitwiseAND(F.lit(0xFFFFFFFF)), 32).bitwiseOR(a.bitwiseAND(F.lit(0xFFFFFFFF)))
+    return (v + F.lit(by & 0xFFFFFFFF)).bitwiseAND(F.lit(0xFFFFFFFF))
+
+
+def require_coarse(local: DataFrame, fields) -> DataFrame:
+    """``local`` with an error in place of a null coarse value, which nothing below it could be predicted from."""
+    checked = lambda f: F.when(F.col("refined") & F.col(f).isNull(), F.raise_error(F.lit(f"no coarse value of {f}")).cast("double")).otherwise(F.col(f))
+    for f in fields:
+        if f not in local.columns:
+            raise MissingCoarseValues(f)
+    return local.withColumns({f: checked(f).cast(local.schema[f].dataType) for f in fields})
+
+
 def sizes(local: DataFrame, dim: int, field: str, k: int = 4, dtype: str = "float64", how: str = "parent", root_level: int = 0) -> DataFrame:
     """(domain, n_cells, enc_bits, enc_bytes) of the stream of each domain, without writing it."""
-    width = WIDTH[dtype]
-    stats = pack_stats(residuals(predict(local, dim, field, how), dtype), dtype=dtype)
-    per = stats.groupBy("domain").agg(F.sum(pack_bits(F.col("lead"), dim, k, width)).alias("b"))
-    cells = local.groupBy("domain").agg(F.count("*").alias("n_cells"), F.count_if(F.col("level") == root_level).alias("roots"))
-    total = F.coalesce("b", F.lit(0)) + width * F.col("roots")
-    return cells.join(per, "domain", "left").select("domain", "n_cells", total.cast("long").alias("enc_bits"), F.ceil(total / 8).cast("long").alias("enc_bytes"))
+    return sizes_of(local, dim, {field: f"{field}:{dtype}"}, k, how, root_level).drop("name")
 
 
 def cell_leads(res: DataFrame, dtype: str = "float64") -> DataFrame:
@@ -72,7 +122,7 @@ def cell_leads(res: DataFrame, dtype: str = "float64") -> DataFrame:
 
 def encode(local: DataFrame, dim: int, fields: dict[str, str], k: int = 4, how: str = "parent") -> DataFrame:
     """One row a domain and field: stream, its plain size, and the bit where each level begins."""
-    return encode_arrays(to_arrays(local, dim, fields), fields, k, how)
+    return encode_arrays(to_arrays(require_coarse(local, fields), dim, fields), fields, k, how)
 
 
 def encode_arrays(packed: DataFrame, fields: dict[str, str], k: int = 4, how: str = "parent") -> DataFrame:

@@ -282,10 +282,9 @@ def _ratio_sql(m, f, dtype, k=4):
 def _ratios(spark, sf_dir, dtype):
     w, out = (8 if dtype == "float64" else 4), []
     for m in SNAPSHOTS:
-        after = pruned_of(spark, sf_dir, m, P)
-        for f in FIELDS:
-            per = pxor.sizes(after, MESHES[m].dim, f, dtype=dtype)
-            out.append(per.agg((F.sum("n_cells") * w).alias("raw_bytes"), F.sum("enc_bytes").alias("enc_bytes"), (_d(F.sum("n_cells") * w) / _d(F.sum("enc_bytes"))).alias("ratio")).select(F.lit(m).alias("mesh"), F.lit(f).alias("field"), F.lit(dtype).alias("dtype"), "*"))
+        per = pxor.sizes_of(pruned_of(spark, sf_dir, m, P), MESHES[m].dim, {f: f"{f}:{dtype}" for f in FIELDS})
+        cells, code = (F.sum("n_cells") * w).alias("raw_bytes"), F.sum("enc_bytes").alias("enc_bytes")
+        out.append(per.groupBy(F.col("name").alias("field")).agg(cells, code, (_d(F.sum("n_cells") * w) / _d(F.sum("enc_bytes"))).alias("ratio")).select(F.lit(m).alias("mesh"), "field", F.lit(dtype).alias("dtype"), "raw_bytes", "enc_bytes", "ratio"))
     return _all(out)
 
 
@@ -455,7 +454,8 @@ def _(spark, sf_dir):
             local.agg(F.count("*").alias("cells_before"), baselines.legacy_grid_bytes(d, F.count_if("refined")).alias("grid_before"), (F.count("*") * 24).alias("f64_before")),
             after.agg(F.count("*").alias("cells_after")),
             _stream_sizes(after, m, True).agg(F.sum("code_bytes").alias("grid_after")),
-            *(_all([pxor.sizes(after, d, f, dtype=t) for f in ("rho", "v", "p")]).agg(F.sum("enc_bytes").alias(f"{s}_after")) for t, s in (("float64", "f64"), ("float32", "f32"))),
+            pxor.sizes_of(after, d, {f"{f}_{s}": f"{f}:{t}" for f in ("rho", "v", "p") for t, s in (("float64", "f64"), ("float32", "f32"))})
+            .agg(*(F.sum(F.when(F.col("name").endswith(s), F.col("enc_bytes"))).alias(f"{s}_after") for s in ("f64", "f32"))),
         ]
         row = reduce(lambda a, b: a.join(b, "k"), [x.withColumn("k", F.lit(1)) for x in one])
         cut_to = lambda s: 1 - _d(F.col("grid_after") + F.col(f"{s}_after")) / _d(F.col("grid_before") + F.col("f64_before"))

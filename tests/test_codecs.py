@@ -51,6 +51,19 @@ def test_run_round_trip(bits, levels):
     assert set(code) <= set(range(63))
 
 
+@pytest.mark.parametrize("lengths", [[1], [127, 128, 129], [5, 16383, 16384, 1, 2097152, 3], [300] * 50])
+def test_varint(lengths):
+    bits = np.repeat(np.arange(len(lengths)) % 2 ^ 1, lengths).astype(np.uint8)
+    plain = bytearray([1])
+    for n in lengths:
+        while n > 127:
+            plain.append(n & 127 | 128)
+            n >>= 7
+        plain.append(n)
+    assert codecs.varint_encode(bits) == bytes(plain) and (codecs.varint_decode(bytes(plain)) == bits).all()
+    assert codecs.varint_encode([]) == b"" and not len(codecs.varint_decode(b""))
+
+
 def test_bit_behind_the_end():
     with pytest.raises(IndexError):
         codecs.run52_bit_at(codecs.run52_encode([1, 0]), 2)
@@ -71,8 +84,8 @@ SPECIAL = [0.0, -0.0, np.inf, -np.inf, np.nan, 5e-324, 1.7976931348623157e308, n
 
 @pytest.mark.parametrize("dim", [1, 2, 3])
 @pytest.mark.parametrize("dtype", ["float64", "float32"])
-@pytest.mark.parametrize("k", [0, 4, 6])
-@pytest.mark.parametrize("how", ["parent", "parent_share"])
+@pytest.mark.parametrize("k", [0, 3, 4, 5, 6])
+@pytest.mark.parametrize("how", ["parent", "parent_share", "previous"])
 def test_float_round_trip(dim, dtype, k, how):
     for seed in range(4):
         refined, levels, _ = random_tree(seed, dim)
@@ -87,6 +100,19 @@ def test_float_round_trip(dim, dtype, k, how):
         assert top.tobytes() == values[: sum(levels[:2])].tobytes()
 
 
+@pytest.mark.parametrize("dim", [1, 2, 3])
+@pytest.mark.parametrize("k", [1, 2, 3, 6])
+def test_packs_shorter_than_a_byte(dim, k):
+    """Equal values leave a header alone, and several packs in one byte."""
+    refined, levels, _ = random_tree(3, dim)
+    for dtype in ("float32", "float64"):
+        values = np.full(len(refined), 2.5, dtype)
+        values[len(values) // 2 :: 7] = 1.25
+        data, _ = codecs.pxor_encode(values, refined, levels, dim, k)
+        assert len(data) == (codecs.pxor_bits(values, refined, levels, dim, k) + 7) // 8
+        assert codecs.pxor_decode(data, refined, levels, dim, dtype, k).tobytes() == values.tobytes()
+
+
 def brute_prune(refined, masked, levels, dim):
     """Recursive definition on explicit nodes."""
     level, path = codecs.paths_of(refined, levels, [0], dim, 0)
