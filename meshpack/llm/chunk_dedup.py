@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, fresh, id_key, map_texts, utf8
+from .common import cut, fresh, id_key, map_texts, released, utf8
 
 LEAST, MOST = 32, 512
 RUN_WORDS = WINDOW = 16
@@ -178,7 +178,7 @@ def removals(stored: DataFrame, run_words: int = RUN_WORDS) -> DataFrame:
             for lo in range(0, batch.num_rows, 256):
                 yield pa.RecordBatch.from_pylist([verdict(r, run_words) for r in batch.slice(lo, 256).to_pylist()], schema=as_arrow)
 
-    return joined.select("row", "doc_id", "th", *(f.name for f in CHUNKS[2:]), "found").mapInArrow(run, schema)
+    return joined.select("row", "doc_id", "th", *(f.name for f in CHUNKS[2:]), "found").mapInArrow(released(run), schema)
 
 
 def verdict(r: dict, run_words: int) -> dict:

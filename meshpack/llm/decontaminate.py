@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ROWS_AT_ONCE, cut, fresh, map_texts, utf8
+from .common import ROWS_AT_ONCE, cut, fresh, map_texts, released, utf8
 
 #: Lower-case ASCII letters, digits and all non-ASCII bytes make words.
 NORMAL = bytes(
@@ -275,7 +275,7 @@ def _with_hits(df: DataFrame, kept: list[str], got: str, spans: bool) -> DataFra
                 arrays += [pa.array([r[i] for r in rows], type=types[f.name]) for i, f in enumerate(FOUND)]
                 yield pa.RecordBatch.from_arrays(arrays, names=schema.names)
 
-    return own.mapInArrow(run, schema)
+    return own.mapInArrow(released(run), schema)
 
 
 def is_contaminated() -> F.Column:

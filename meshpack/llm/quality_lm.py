@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Lookup, cut, fresh, map_texts
+from .common import Lookup, cut, fresh, map_texts, released
 
 ORDER = 4
 QUANTILE = 0.995
@@ -151,7 +151,7 @@ def gram_counts(docs: DataFrame, order: int = ORDER) -> DataFrame:
         yield from gather.flush()
 
     schema = T.StructType([T.StructField("g", T.StringType()), *(T.StructField(n, T.LongType()) for n in ("c", "a"))])
-    return docs.select("text", "trusted").mapInArrow(run, schema).groupBy("g").agg(F.sum("c").alias("c"), F.sum("a").alias("a"))
+    return docs.select("text", "trusted").mapInArrow(released(run), schema).groupBy("g").agg(F.sum("c").alias("c"), F.sum("a").alias("a"))
 
 
 def counts_of_counts(df: DataFrame) -> list[float]:

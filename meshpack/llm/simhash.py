@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import cut, fresh, id_key, map_texts, utf8
+from .common import cut, fresh, id_key, map_texts, released, utf8
 
 RADIUS = 3
 SHINGLE = 3
@@ -223,7 +223,7 @@ def near_links(distinct: DataFrame, n_distinct: int, radius: int = RADIUS, tile:
         a, b = forest(np.concatenate(out_a), np.concatenate(out_b))
         return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
-    return parts.mapInArrow(run, schema)
+    return parts.mapInArrow(released(run), schema)
 
 
 def components(links: DataFrame, rounds: int = 64) -> DataFrame:
