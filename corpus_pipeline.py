@@ -32,8 +32,11 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A sampled segmentation of every document, with its piece ids, beside its language and source."""
-    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"))
+    """A sampled segmentation of every document, with its piece ids, beside its language and source.
+
+    Small batches: workers of earlier stages still live on the executors, which share their memory.
+    """
+    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"), chars=500_000)
 
 
 STAGES = [
