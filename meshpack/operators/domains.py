@@ -10,8 +10,13 @@ from .mesh import Params, children, neighbours
 from .storage import cut
 from ..functions.shifts import shl, shr
 
-#: Bits of the key that one round of the boundary search counts by.
-ROUND_BITS = 12
+#: Cells that a domain should hold at most: what one task packs and codes at once.
+CELLS_A_DOMAIN = 10_000_000
+
+
+def domains_for(cells: int, least: int = 1, most_cells: int = CELLS_A_DOMAIN) -> int:
+    """Number of domains that keeps each near ``most_cells``."""
+    return max(least, -(-cells // most_cells))
 
 
 def curve_start(dim: int, level_max: int, curve: str) -> Column:
@@ -20,38 +25,30 @@ def curve_start(dim: int, level_max: int, curve: str) -> Column:
     return shl(key, ((F.lit(level_max) - F.col("level")) * dim).cast("int"))
 
 
-def leaf_boundaries(leaves: DataFrame, n: int, bits: int) -> list[int]:
+def leaf_boundaries(leaves: DataFrame, n: int) -> list[int]:
     """First keys of domains 1 .. n-1 so that the leaf of rank r belongs to domain r * n div total.
 
-    A radix selection: each round counts the keys below the few open prefixes by their next bits,
-    so that the driver sees at most (n - 1) * 2^ROUND_BITS counts, whatever the number of leaves,
-    and no window ever gathers them.
+    Keys are dealt out by ranges, sorted and stored; the sizes of the ranges tell in which one, and
+    at which place there, each boundary stands.  The driver sees a count for each partition and
+    n - 1 keys, whatever the number of leaves.
     """
-    total = leaves.count()
+    if n < 2:
+        return []
+    placed = cut(leaves.select("key").repartitionByRange("key").sortWithinPartitions("key").select("key", F.monotonically_increasing_id().alias("at")))
+    sizes = sorted((r["part"], r["n"]) for r in placed.groupBy(shr("at", 33).alias("part")).agg(F.count("*").alias("n")).collect())
+    total = sum(c for _, c in sizes)
     if not total:
         return [0] * (n - 1)
-    # rank of the first leaf of domain d: least r with r * n div total >= d
-    open_ = {(0, d): -(-d * total // n) for d in range(1, n)}  # (prefix, d) -> rank below the prefix
-    left = bits
-    while left > 0:
-        step = min(ROUND_BITS, left)
-        prefixes = sorted({p for p, _ in open_})
-        up = shr("key", left)
-        some = leaves.where(up.isin(prefixes)) if left < bits else leaves
-        counts: dict[int, list[tuple[int, int]]] = {}
-        for k, c in some.groupBy(shr("key", left - step).alias("k")).count().collect():
-            counts.setdefault(k >> step, []).append((k, c))
-        after = {}
-        for (prefix, d), rank in open_.items():
-            for k, c in sorted(counts.get(prefix, [])):
-                if rank < c:
-                    after[k, d] = rank
-                    break
-                rank -= c
-            else:
-                after[(prefix + 1) << step, d] = 0
-        open_, left = after, left - step
-    return [k for (k, d) in sorted(open_, key=lambda x: x[1])]
+    wanted, seen, d = [], 0, 1
+    for part, count in sizes:
+        # rank of the first leaf of domain d: least r with r * n div total >= d
+        while d < n and (rank := -(-d * total // n)) < seen + count:
+            wanted.append((d, (part << 33) + rank - seen))
+            d += 1
+        seen += count
+    asked = placed.sparkSession.createDataFrame(wanted, "d int, at long")
+    found = {r["d"]: r["key"] for r in placed.join(F.broadcast(asked), "at").select("d", "key").collect()}
+    return [found.get(d, 1 << 62) for d in range(1, n)]  # with fewer leaves than domains the last own nothing
 
 
 def coarse_boundaries(leaves: DataFrame, n: int, dim: int, p: Params) -> list[int]:
@@ -69,8 +66,8 @@ def coarse_boundaries(leaves: DataFrame, n: int, dim: int, p: Params) -> list[in
 
 def owner_of(key: Column, bounds: list[int]) -> Column:
     """Number of boundaries at or below the key, by a search whose depth is log2 of their number."""
-    if len(bounds) > 64:  # too many for a tree of branches: the same search over an array
-        known = F.array(*map(F.lit, bounds))
+    if len(bounds) > 64:  # too many for a tree of branches: the same search over an array, one literal
+        known = F.split(F.lit(",".join(map(str, bounds))), ",").cast("array<bigint>")
         steps = F.array(*(F.lit(1 << k) for k in reversed(range(len(bounds).bit_length()))))
 
         def jump(at, step):
@@ -93,7 +90,7 @@ def split(cells: DataFrame, dim: int, n: int, p: Params) -> list[int]:
     leaves = cells.where("not refined").select(curve_start(dim, p.level_max, p.curve).alias("key"))
     if p.align == "coarse":
         return coarse_boundaries(leaves, n, dim, p)
-    return leaf_boundaries(leaves, n, p.level_max * dim)
+    return leaf_boundaries(leaves, n)
 
 
 def owned_paths(cells: DataFrame, dim: int, bounds: list[int], p: Params) -> DataFrame:

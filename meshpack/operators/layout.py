@@ -140,8 +140,32 @@ def roots(forest: DataFrame, dim: int, l0: int) -> DataFrame:
     return top.select("domain", F.col("path").alias("morton"), *(x.alias(f"i{a}") for a, x in enumerate(morton_decode(F.col("path"), dim))))
 
 
-def from_forest(forest: DataFrame, full: DataFrame, l0: int) -> DataFrame:
-    """The threaded trees again, with what lies above ``l0`` and the dropped roots taken from ``full``."""
-    key = ["domain", "level", "path"]
-    missing = full.join(forest.select(*key), key, "left_anti").where(F.col("level") <= l0)
-    return forest.unionByName(missing)
+def from_forest(forest: DataFrame, dim: int, l0: int, curve: str = "morton") -> DataFrame:
+    """The structure of the whole trees from a forest of pruned ones: (domain, level, path, refined, masked).
+
+    A kept root owns something at or below itself, so the refined cells above are its ancestors and
+    no others; children of these that the forest has not are roots that it dropped, masked leaves.
+    A cell above belongs to the domain that its first root on the curve belongs to.
+    """
+    from .domains import curve_start
+    from .mesh import children
+
+    kept = forest.where(F.col("level") == l0).select("domain", "level", "path", "masked")
+    up = kept.select("domain", "path", F.explode(F.sequence(F.lit(1), F.lit(l0))).alias("up")) if l0 else None
+    if up is None:
+        return forest.select("domain", "level", "path", "refined", "masked")
+    above = up.select("domain", (F.lit(l0) - F.col("up")).alias("level"), shr("path", (F.col("up") * dim).cast("int")).alias("path")).distinct()
+    first = lambda df: df.withColumn("_k", curve_start(dim, l0, curve))
+    root = forest.select("domain").distinct().select("domain", F.lit(0).alias("level"), F.lit(0).cast("long").alias("path"))
+    cells = first(root.unionByName(children(above, dim, "domain")))
+    known = first(kept).select("domain", "_k", "masked")
+    owner = cells.join(known, ["domain", "_k"], "left").select("domain", "level", "path", F.coalesce("masked", F.lit(True)).alias("masked"))
+    top = owner.join(above.withColumn("refined", F.lit(True)), ["domain", "level", "path"], "left").withColumn("refined", F.coalesce("refined", F.lit(False)))
+    own = forest.select("domain", "level", "path", "refined", "masked")
+    missing = top.where(F.col("level") == l0).join(own, ["domain", "level", "path"], "left_anti")
+    return own.unionByName(top.where(F.col("level") < l0)).unionByName(missing)
+
+
+def select_fields(packed: DataFrame, fields: list[str]) -> DataFrame:
+    """Packed rows with some of their fields: the arrays of the tree stay whole."""
+    return packed.select(*(c for c in packed.columns if not c.startswith("f_") or c[2:] in fields))

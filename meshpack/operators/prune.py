@@ -109,3 +109,35 @@ def prune_arrays(packed: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_pylist(rows, schema=batch.schema).select(names)
 
     return packed.mapInArrow(run, packed.schema)
+
+
+def prune_times(packed: DataFrame, repeat: int = 5) -> DataFrame:
+    """(domain, n_cells, coarse, place, ns): time of the numpy form, least of ``repeat`` runs, beside the number of
+    coarse cells of each domain and their mean place in its arrays."""
+    from pyspark.sql import types as T
+
+    from ..functions import codecs
+
+    schema = T.StructType([T.StructField("domain", T.IntegerType()), T.StructField("n_cells", T.LongType()), T.StructField("coarse", T.LongType()), T.StructField("place", T.DoubleType()), T.StructField("ns", T.LongType())])
+
+    def run(batches):
+        import time
+
+        import numpy as np
+        import pyarrow as pa
+        from pyspark.sql.pandas.types import to_arrow_schema
+
+        for batch in batches:
+            out = []
+            for r in batch.select(["domain", "dim", "level_cells", "refined", "masked"]).to_pylist():
+                best = None
+                for _ in range(repeat):
+                    began = time.perf_counter_ns()
+                    codecs.prune_arrays(r["refined"], r["masked"], r["level_cells"], r["dim"])
+                    ns = time.perf_counter_ns() - began
+                    best = ns if best is None else min(best, ns)
+                at = np.flatnonzero(np.frombuffer(r["refined"], np.uint8))
+                out.append({"domain": r["domain"], "n_cells": len(r["refined"]), "coarse": len(at), "place": float(at.mean()) if len(at) else 0.0, "ns": best})
+            yield pa.RecordBatch.from_pylist(out, schema=to_arrow_schema(schema))
+
+    return packed.mapInArrow(run, schema)

@@ -175,3 +175,11 @@ def decode(streams: DataFrame, grids: DataFrame, how: str = "parent", max_level:
             yield pa.RecordBatch.from_pylist(out, schema=to_arrow_schema(schema))
 
     return joined.select("domain", "field", "dtype", "k", "data", "dim", "level_cells", "refined").mapInArrow(run, schema)
+
+
+@F.arrow_udf(T.ArrayType(T.LongType()))
+def as_bits(values: pa.Array) -> pa.Array:
+    """Raw double values as whole numbers of the same bits."""
+    import numpy as np
+
+    return pa.array([None if b is None else np.frombuffer(b, "<i8") for b in values.to_pylist()], pa.list_(pa.int64()))

@@ -66,6 +66,14 @@ def encoded_bytes(found: DataFrame, by: list[str], marked: bool = False) -> Data
     return found.groupBy(*by).agg((1 + F.sum(run_bytes(F.col("len"))) + marks).cast("long").alias("code_bytes"), F.sum("len").alias("n_bits"))
 
 
+def tight_bytes(found: DataFrame, by: list[str]) -> DataFrame:
+    """(by, code_bytes, six_bit_bytes, exact_bytes): the stream, the same in words of six bits, as its bytes stay
+    below 64, and the first bit with the binary digits of all run lengths, which no stream of theirs can go below."""
+    code, exact = 1 + F.sum(run_bytes(F.col("len"))), 1 + F.sum(F.length(F.bin("len")))
+    per = found.groupBy(*by).agg(code.alias("code_bytes"), exact.alias("exact"))
+    return per.select(*by, "code_bytes", F.expr("(6 * code_bytes + 7) div 8").alias("six_bit_bytes"), F.expr("(exact + 7) div 8").alias("exact_bytes"))
+
+
 def runs_of_code(codes: DataFrame, by: list[str], code: str = "code") -> DataFrame:
     """(by, run_no, bit, len, level) of encoded streams; no bit is inflated."""
     kept = codes.select(*by, code)

@@ -43,10 +43,11 @@ def cells_of(spark: SparkSession, sf_dir: str, name: str, p: Params = Params())
 
 
 def local_of(spark: SparkSession, sf_dir: str, name: str, p: Params = Params(), cells: DataFrame | None = None) -> DataFrame:
-    """Threaded trees, partitioned by domain and stored."""
-    n = domains_of(name, p)
+    """Threaded trees, partitioned by domain and stored.  Larger tables make more domains than the
+    catalogue names, so that none grows beyond what a task can pack."""
     cells = cells_of(spark, sf_dir, name, p) if cells is None else cells
-    return domains.stored(domains.thread_trees(cells, MESHES[name].dim, p, n), min(n, 256))
+    n = domains.domains_for(cells.count(), domains_of(name, p))
+    return domains.stored(domains.thread_trees(cells, MESHES[name].dim, p, n), n)
 
 
 def pruned_of(spark: SparkSession, sf_dir: str, name: str, p: Params = Params()) -> DataFrame:

@@ -14,7 +14,7 @@ from ..operators.mesh import Params
 from ..operators.storage import cut
 from ..sources.tables import MESHES, table
 from . import sql
-from .base import SNAPSHOTS, cells_of, domains_of, local_of, pruned_of, query, rows
+from .base import SNAPSHOTS, cells_of, domains_of, local_of, pruned_of, query, rows, with_params
 
 P = Params()
 FIELDS = ("rho", "v", "p", "smooth")
@@ -181,7 +181,7 @@ query("w_run52_sizes", _union(_bool_summary(m) for m in SNAPSHOTS))(lambda s, d:
 
 @query("w_bool_codecs")
 def _(spark, sf_dir):
-    """Sizes of both arrays under every boolean codec; speeds are in ``bool_speeds``."""
+    """Sizes of both arrays under every boolean codec; speeds are in ``w_speeds``."""
     packed = cut(layout.to_arrays(pruned_of(spark, sf_dir, "line", P), 3))
     return _all([baselines.codec_report(packed, a, baselines.BOOL_CODECS) for a in ("refined", "masked")]).groupBy("array", "codec").agg(
         F.sum("raw_bytes").alias("raw_bytes"), F.sum("enc_bytes").alias("enc_bytes"), (F.sum("raw_bytes") / F.sum("enc_bytes")).alias("ratio"), F.bool_and("exact").alias("exact")
@@ -213,19 +213,32 @@ def _(spark, sf_dir):
 
 
 
-@query("w_run52_headroom", _union(
-    f"{sql.with_(sql.pruned('line', 16, P) + sql.run_table('pruned', bit) + [('dg', f'SELECT {sql.digits()} AS n, len FROM runs'), ('byt', 'SELECT n AS b FROM dg WHERE n > 1 UNION ALL SELECT ((len // (52::BIGINT ** j)::BIGINT) % 52 + 11)::BIGINT FROM dg, (SELECT unnest(range(7)) AS j) WHERE j < n UNION ALL SELECT any_value(CASE WHEN bit THEN 1 ELSE 0 END) FROM runs WHERE run_no = 0 GROUP BY domain'), ('h', 'SELECT b, count(*) AS c FROM byt GROUP BY 1')], f'''SELECT '{bit}' AS stream, sum(c)::BIGINT AS code_bytes, round(-sum(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE * log2(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE)), 9) AS entropy, 0.25::DOUBLE AS six_bit_saving FROM h''')}"
-    for bit in ("refined", "masked")
-))
+_TIGHT = "SELECT domain, (1 + sum({b}))::BIGINT AS code, (1 + sum(length(bin(len))))::BIGINT AS exact FROM runs GROUP BY 1"
+
+
+def _headroom_sql(bit):
+    digits = f"SELECT {sql.digits()} AS n, len FROM runs"
+    each = "SELECT n AS b FROM dg WHERE n > 1 UNION ALL SELECT ((len // (52::BIGINT ** j)::BIGINT) % 52 + 11)::BIGINT FROM dg, (SELECT unnest(range(7)) AS j) WHERE j < n UNION ALL SELECT any_value(CASE WHEN bit THEN 1 ELSE 0 END) FROM runs WHERE run_no = 0 GROUP BY domain"
+    parts = sql.pruned("line", 16, P) + sql.run_table("pruned", bit) + [("dg", digits), ("byt", each), ("h", "SELECT b, count(*) AS c FROM byt GROUP BY 1"), ("t", _TIGHT.format(b=sql.run_bytes()))]
+    entropy = "(SELECT round(-sum(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE * log2(c::DOUBLE / (SELECT sum(c) FROM h)::DOUBLE)), 9) FROM h)"
+    six, exact, code = "sum((6 * code + 7) // 8)::BIGINT", "sum((exact + 7) // 8)::BIGINT", "sum(code)::BIGINT"
+    return sql.with_(parts, f"SELECT '{bit}' AS stream, (SELECT sum(c) FROM h)::BIGINT AS code_bytes, {entropy} AS entropy, {six} AS six_bit_bytes, {exact} AS exact_bytes, 1 - {six}::DOUBLE / {code}::DOUBLE AS six_bit_saving, 1 - {exact}::DOUBLE / {code}::DOUBLE AS exact_saving FROM t")
+
+
+@query("w_run52_headroom", _union(_headroom_sql(bit) for bit in ("refined", "masked")))
 def _(spark, sf_dir):
+    """What tighter streams would save: words of six bits, and the bits of the run lengths alone."""
     after = pruned_of(spark, sf_dir, "line", P)
     out = []
     for bit in ("refined", "masked"):
         codes = run52.encode(after, ["domain"], ["level", "path"], bit)
         each = codes.select(F.explode(F.regexp_extract_all(F.hex("code"), F.lit("(..)"), F.lit(1))).alias("byte"))
         hist = cut(each.groupBy("byte").agg(F.count("*").alias("n")))
-        e = measures.entropy(hist).withColumn("k", F.lit(1)).join(hist.agg(F.sum("n").alias("code_bytes")).withColumn("k", F.lit(1)), "k")
-        out.append(e.select(F.lit(bit).alias("stream"), "code_bytes", "entropy", F.lit(0.25).alias("six_bit_saving")))
+        tight = run52.tight_bytes(run52.runs(after, ["domain"], ["level", "path"], bit), ["domain"])
+        saved = lambda c: (1 - _d(F.sum(c)) / _d(F.sum("code_bytes")))
+        sums = tight.agg(F.sum("code_bytes").alias("code_bytes"), F.sum("six_bit_bytes").alias("six_bit_bytes"), F.sum("exact_bytes").alias("exact_bytes"), saved("six_bit_bytes").alias("six_bit_saving"), saved("exact_bytes").alias("exact_saving"))
+        e = measures.entropy(hist).withColumn("k", F.lit(1)).join(sums.withColumn("k", F.lit(1)), "k")
+        out.append(e.drop("k").select(F.lit(bit).alias("stream"), "*"))
     return _all(out)
 
 
@@ -248,13 +261,18 @@ query("op_pack_or", sql.with_(_RES, "SELECT domain, level, parent, or_bits FROM
 query("op_nlz", sql.with_(_RES, "SELECT domain, level, parent, least(lead, 15)::BIGINT AS nlz FROM packs"))(lambda s, d: _stats(s, d).select("domain", "level", "parent", F.least("lead", F.lit(15)).cast("long").alias("nlz")))
 
 
-def _bits_sql(m, f, k=4, dtype="float64", lead_cols="", pred="u.{f}", value="c.{f}"):
+def _bits_of_pruned(m, f, k=4, dtype="float64", lead_cols="", pred="u.{f}", value="c.{f}"):
+    """Sizes by domain from a ``pruned`` that is known around this text."""
     d, w = MESHES[m].dim, 64 if dtype == "float64" else 32
-    parts = sql.pruned(m, domains_of(m), P) + sql.packs("pruned", d, f, dtype, pred, value)
+    parts = sql.packs("pruned", d, f, dtype, pred, value)
     parts += [("pb", f"SELECT domain, sum({sql.pack_bits(d, k, w)})::BIGINT AS b FROM packs GROUP BY 1"), ("cc", "SELECT domain, count(*) AS n_cells FROM pruned GROUP BY 1")]
     return sql.with_(parts, f"SELECT {lead_cols}domain, n_cells, (coalesce(b, 0) + {w})::BIGINT AS enc_bits, ((coalesce(b, 0) + {w} + 7) // 8)::BIGINT AS enc_bytes FROM cc LEFT JOIN pb USING (domain)")
 
 
+def _bits_sql(m, f, *rest, **named):
+    return sql.with_(sql.pruned(m, domains_of(m), P), f"SELECT * FROM ({_bits_of_pruned(m, f, *rest, **named)})")
+
+
 query("op_pxor_bits", _bits_sql("line", "p"))(lambda s, d: pxor.sizes(pruned_of(s, d, "line", P), 3, "p"))
 query("op_pxor_bits_2d", _bits_sql("cust", "v"))(lambda s, d: pxor.sizes(pruned_of(s, d, "cust", P), 2, "v"))
 query("op_pxor_bits_f32", _bits_sql("line", "p", dtype="float32"))(lambda s, d: pxor.sizes(pruned_of(s, d, "line", P), 3, "p", dtype="float32"))
@@ -274,9 +292,10 @@ def _(spark, sf_dir):
     return res.groupBy("domain").agg(F.count("*").alias("n"), F.sum(64 - F.least("lead", F.lit(15))).cast("long").alias("residue_bits"))
 
 
-def _ratio_sql(m, f, dtype, k=4):
+def _ratio_sql(m, dtype):
     w = 8 if dtype == "float64" else 4
-    return f"SELECT '{m}' AS mesh, '{f}' AS field, '{dtype}' AS dtype, sum(n_cells)::BIGINT * {w} AS raw_bytes, sum(enc_bytes)::BIGINT AS enc_bytes, (sum(n_cells)::BIGINT * {w})::DOUBLE / sum(enc_bytes)::BIGINT::DOUBLE AS ratio FROM ({_bits_sql(m, f, k, dtype)})"
+    each = [f"SELECT '{m}' AS mesh, '{f}' AS field, '{dtype}' AS dtype, sum(n_cells)::BIGINT * {w} AS raw_bytes, sum(enc_bytes)::BIGINT AS enc_bytes, (sum(n_cells)::BIGINT * {w})::DOUBLE / sum(enc_bytes)::BIGINT::DOUBLE AS ratio FROM ({_bits_of_pruned(m, f, 4, dtype)})" for f in FIELDS]
+    return sql.with_(sql.pruned(m, domains_of(m), P), _union(each))
 
 
 def _ratios(spark, sf_dir, dtype):
@@ -288,28 +307,68 @@ def _ratios(spark, sf_dir, dtype):
     return _all(out)
 
 
-query("w_pxor_f64", _union(_ratio_sql(m, f, "float64") for m in SNAPSHOTS for f in FIELDS))(lambda s, d: _ratios(s, d, "float64"))
-query("w_pxor_f32", _union(_ratio_sql(m, f, "float32") for m in SNAPSHOTS for f in FIELDS))(lambda s, d: _ratios(s, d, "float32"))
+query("w_pxor_f64", _union(_ratio_sql(m, "float64") for m in SNAPSHOTS))(lambda s, d: _ratios(s, d, "float64"))
+query("w_pxor_f32", _union(_ratio_sql(m, "float32") for m in SNAPSHOTS))(lambda s, d: _ratios(s, d, "float32"))
 
 
 @query("w_float_codecs")
 def _(spark, sf_dir):
-    """Sizes of the density under every float codec; speeds are in ``float_speeds``."""
+    """Sizes of the density under every float codec; speeds are in ``w_speeds``."""
     packed = cut(layout.to_arrays(pruned_of(spark, sf_dir, "line", P), 3, {"rho": "float64"}))
     return baselines.codec_report(packed, "f_rho", baselines.FLOAT_CODECS, "float64").groupBy("codec").agg(
         F.sum("raw_bytes").alias("raw_bytes"), F.sum("enc_bytes").alias("enc_bytes"), (F.sum("raw_bytes") / F.sum("enc_bytes")).alias("ratio"), F.bool_and("exact").alias("exact")
     )
 
 
+#: Speeds are taken on domains of a size that a simulation's have: few of them, not sixteen small ones.
+LARGE = with_params(P, domains=2)
+
+
+def _large(spark, sf_dir, m, fields):
+    """Pruned arrays of the two domains of a mesh, stored."""
+    return cut(layout.to_arrays(pruned_of(spark, sf_dir, m, LARGE), MESHES[m].dim, fields))
+
+
 @query("w_speeds")
 def _(spark, sf_dir):
     """Single-thread speeds in MB/s of all codecs, both ways, and of the largest domain."""
-    packed = cut(layout.to_arrays(pruned_of(spark, sf_dir, "line", P), 3, {"rho": "float64"}))
-    reports = [baselines.codec_report(packed, a, baselines.BOOL_CODECS) for a in ("refined", "masked")]
-    reports.append(baselines.codec_report(packed, "f_rho", baselines.FLOAT_CODECS, "float64"))
+    packed = _large(spark, sf_dir, "line", {"rho": "float64"})
+    reports = [baselines.codec_report(packed, a, baselines.BOOL_CODECS, repeat=3) for a in ("refined", "masked")]
+    reports.append(baselines.codec_report(packed, "f_rho", baselines.FLOAT_CODECS, "float64", 3))
     return baselines.summed(_all(reports))
 
 
+@query("w_speeds_run52")
+def _(spark, sf_dir):
+    """Ratio and single-thread speed of the run coder on both arrays of the three meshes."""
+    out = []
+    for m in SNAPSHOTS:
+        packed = _large(spark, sf_dir, m, {})
+        for a in ("refined", "masked"):
+            out.append(baselines.summed(baselines.codec_report(packed, a, baselines.BOOL_CODECS[:1], repeat=5)).select(F.lit(m).alias("mesh"), "*"))
+    return _all(out)
+
+
+@query("w_speeds_pxor")
+def _(spark, sf_dir):
+    """Ratio and single-thread speed, both ways, of the float coder: three fields of three meshes in both precisions."""
+    out = []
+    for m in SNAPSHOTS:
+        for dtype in ("float64", "float32"):
+            packed = _large(spark, sf_dir, m, {f: dtype for f in FIELDS[:3]})
+            for f in FIELDS[:3]:
+                report = baselines.codec_report(packed, f"f_{f}", baselines.FLOAT_CODECS[:1], dtype, 5)
+                out.append(baselines.summed(report).select(F.lit(m).alias("mesh"), F.lit(dtype).alias("dtype"), "*"))
+    return _all(out)
+
+
+@query("w_speeds_header")
+def _(spark, sf_dir):
+    """What a header of five bits gains in ratio and costs in speed against one of four, on the density."""
+    packed = _large(spark, sf_dir, "line", {"rho": "float64", "smooth": "float64"})
+    return _all([baselines.summed(baselines.codec_report(packed, f"f_{f}", [("pxor4", None, None), ("pxor5", None, None)], "float64", 5)) for f in ("rho", "smooth")])
+
+
 _BACK = {"rho": "float64", "v": "float64", "p": "float32", "smooth": "float32"}
 
 
@@ -329,11 +388,12 @@ def _roundtrip(after, m):
 query("op_pxor_roundtrip", f"{sql.with_(sql.pruned('cust', 16, P), '''SELECT 'cust' AS mesh, domain, count(*) AS n_cells, 0::BIGINT AS mismatches FROM pruned GROUP BY 2''')}")(lambda s, d: _roundtrip(pruned_of(s, d, "cust", P), "cust"))
 
 
-@query("w_pxor_decode_levels", sql.with_(sql.pruned("line", 16, P), "SELECT domain, count(*) AS n_values FROM pruned WHERE level <= 3 GROUP BY 1"))
+@query("w_pxor_decode_levels", sql.with_(sql.pruned("line", 16, P), f"SELECT domain, row_number() OVER (PARTITION BY domain ORDER BY level, path) - 1 AS place, {sql.bits('rho')} AS bits FROM pruned WHERE level <= 3"))
 def _(spark, sf_dir):
+    """Every value down to level 3, bit by bit, from streams that are read no further."""
     packed = cut(layout.to_arrays(pruned_of(spark, sf_dir, "line", P), 3, {"rho": "float64"}))
     got = pxor.decode(pxor.encode_arrays(packed, {"rho": "float64"}), packed, max_level=3)
-    return got.select("domain", F.expr("octet_length(values) div 8").cast("long").alias("n_values"))
+    return got.select("domain", F.posexplode(pxor.as_bits("values")).alias("place", "bits")).select("domain", F.col("place").cast("long").alias("place"), "bits")
 
 
 # ---- leading zeros -----------------------------------------------------------------------------
@@ -433,14 +493,15 @@ def _(spark, sf_dir):
 def _recap_sql(m):
     d = MESHES[m].dim
     parts, outs = _sizes_sql(m, marked=True)
-    f64 = " + ".join(f"(SELECT sum(enc_bytes)::BIGINT FROM ({_bits_sql(m, f)}))" for f in ("rho", "v", "p"))
-    f32 = " + ".join(f"(SELECT sum(enc_bytes)::BIGINT FROM ({_bits_sql(m, f, dtype='float32')}))" for f in ("rho", "v", "p"))
-    before = f"((SELECT count(*) FROM local WHERE refined) * {_GRID(d)})"
-    grid = f"(SELECT sum(code_bytes)::BIGINT FROM ({' UNION ALL '.join(outs)}))"
-    cells = "(SELECT count(*) FROM local)"
-    return f"""{sql.with_(parts, f'''SELECT '{m}' AS mesh, {cells} AS cells_before, (SELECT count(*) FROM pruned) AS cells_after, {before} AS grid_before, {grid} AS grid_after,
-    {cells} * 24 AS f64_before, {f64} AS f64_after, {f32} AS f32_after,
-    1 - ({grid} + {f64})::DOUBLE / ({before} + {cells} * 24)::DOUBLE AS reduction_f64, 1 - ({grid} + {f32})::DOUBLE / ({before} + {cells} * 24)::DOUBLE AS reduction_f32''')}"""
+    sums = [(f"{f}_{t}", f"SELECT sum(enc_bytes)::BIGINT AS b FROM ({_bits_of_pruned(m, f, dtype=t)})") for f in ("rho", "v", "p") for t in ("float64", "float32")]
+    of = lambda t: " + ".join(f"(SELECT b FROM {f}_{t})" for f in ("rho", "v", "p"))
+    one = f"""SELECT (SELECT count(*) FROM local) AS cells_before, (SELECT count(*) FROM pruned) AS cells_after, (SELECT count(*) FROM local WHERE refined) * {_GRID(d)} AS grid_before,
+    (SELECT sum(code_bytes)::BIGINT FROM ({' UNION ALL '.join(outs)})) AS grid_after, (SELECT count(*) FROM local) * 24 AS f64_before, {of('float64')} AS f64_after, {of('float32')} AS f32_after"""
+    cut_to = lambda t: f"1 - (grid_after + {t}_after)::DOUBLE / (grid_before + f64_before)::DOUBLE"
+    return sql.with_(
+        parts + sums + [("one", one)],
+        f"SELECT '{m}' AS mesh, *, {cut_to('f64')} AS reduction_f64, {cut_to('f32')} AS reduction_f32, grid_after::DOUBLE / (grid_after + f64_after)::DOUBLE AS grid_share, floor(1 / (1 - ({cut_to('f32')})))::BIGINT AS dump_factor FROM one",
+    )
 
 
 @query("w_recap", _union(_recap_sql(m) for m in SNAPSHOTS))
@@ -459,7 +520,7 @@ def _(spark, sf_dir):
         ]
         row = reduce(lambda a, b: a.join(b, "k"), [x.withColumn("k", F.lit(1)) for x in one])
         cut_to = lambda s: 1 - _d(F.col("grid_after") + F.col(f"{s}_after")) / _d(F.col("grid_before") + F.col("f64_before"))
-        out.append(row.select(F.lit(m).alias("mesh"), "cells_before", "cells_after", "grid_before", "grid_after", "f64_before", "f64_after", "f32_after", cut_to("f64").alias("reduction_f64"), cut_to("f32").alias("reduction_f32")))
+        out.append(row.select(F.lit(m).alias("mesh"), "cells_before", "cells_after", "grid_before", "grid_after", "f64_before", "f64_after", "f32_after", cut_to("f64").alias("reduction_f64"), cut_to("f32").alias("reduction_f32"), (_d(F.col("grid_after")) / _d(F.col("grid_after") + F.col("f64_after"))).alias("grid_share"), F.floor(1 / (1 - cut_to("f32"))).alias("dump_factor")))
     return _all(out)
 
 
@@ -515,19 +576,29 @@ def _(spark, sf_dir):
     return _all(out)
 
 
-@query("w_subset_export", sql.with_(sql.pruned("line", 16, P), "SELECT count(*) * 24 AS all_f64, count(*) * 16 AS two_f64, count(*) * 8 AS two_f32, count(*) FILTER (rho::FLOAT::DOUBLE = rho) AS exact_f32 FROM pruned"))
+@query("w_subset_export", sql.with_(sql.pruned("line", 16, P), "SELECT count(*) * 24 AS all_f64, count(*) * 16 AS two_f64, count(*) * 8 AS two_f32, count(*) FILTER (rho::FLOAT::DOUBLE = rho) AS exact_f32, (count(*) * 16)::DOUBLE / (count(*) * 8)::DOUBLE AS cast_factor FROM pruned"))
 def _(spark, sf_dir):
-    after = pruned_of(spark, sf_dir, "line", P).select("rho")
-    return after.agg((F.count("*") * 24).alias("all_f64"), (F.count("*") * 16).alias("two_f64"), (F.count("*") * 8).alias("two_f32"), F.count_if(F.col("rho").cast("float").cast("double") == F.col("rho")).alias("exact_f32"))
+    """Bytes of packed rows with all fields, with two of them, and with these in single precision, and how many values the cast keeps."""
+    after = pruned_of(spark, sf_dir, "line", P)
+    three, two = {f: "float64" for f in FIELDS[:3]}, ["rho", "p"]
+    packed = cut(layout.to_arrays(after, 3, three))
+    size = lambda df: df.agg(F.sum(sum((F.octet_length(c) for c in df.columns if c.startswith("f_")), F.lit(0))).cast("long").alias("n"))
+    single = layout.to_arrays(after, 3, {f: "float32" for f in two})
+    parts = [size(packed), size(layout.select_fields(packed, two)), size(single), after.agg(F.count_if(F.col("rho").cast("float").cast("double") == F.col("rho")).alias("n"))]
+    names = ("all_f64", "two_f64", "two_f32", "exact_f32")
+    row = reduce(lambda a, b: a.join(b, "k"), [x.select(F.lit(1).alias("k"), F.col("n").alias(n)) for x, n in zip(parts, names)])
+    return row.select(*names, (_d(F.col("two_f64")) / _d(F.col("two_f32"))).alias("cast_factor"))
 
 
-@query("op_volume_flavours", sql.with_(sql.mesh("events", P), "SELECT 'combined' AS flavour, count(*) FILTER (refined) * 156 + count(*) * 24 AS bytes FROM cells UNION ALL SELECT 'checkpoint', count(*) FILTER (refined) * 156 + count(*) * 24 FROM cells UNION ALL SELECT 'analysis', 2 * ((count(*) + 7) // 8) + count(*) * 24 FROM cells"))
+@query("op_volume_flavours", sql.with_(sql.mesh("events", P), "SELECT 'combined' AS flavour, count(*) FILTER (refined) * 156 + count(*) * 24 AS bytes FROM cells UNION ALL SELECT 'checkpoint', 2 * count(*) + count(*) * 24 FROM cells UNION ALL SELECT 'analysis', 2 * ((count(*) + 7) // 8) + count(*) * 12 FROM cells"))
 def _(spark, sf_dir):
-    """Byte model of three output flavours: combined, checkpoint only, analysis only (bits for the tree)."""
+    """Byte model of three output flavours: legacy lists for both uses; a checkpoint of plain arrays; an analysis
+    base with bits for the tree and single precision."""
     cells = cells_of(spark, sf_dir, "events", P)
     old = baselines.legacy_grid_bytes(3, F.count_if("refined")) + F.count("*") * 24
-    new = 2 * F.expr("(count(*) + 7) div 8") + F.count("*") * 24
-    return _all([cells.agg(F.lit(k).alias("flavour"), e.alias("bytes")) for k, e in (("combined", old), ("checkpoint", old), ("analysis", new))])
+    plain = 2 * F.count("*") + F.count("*") * 24
+    light = 2 * F.expr("(count(*) + 7) div 8") + F.count("*") * 12
+    return _all([cells.agg(F.lit(k).alias("flavour"), e.alias("bytes")) for k, e in (("combined", old), ("checkpoint", plain), ("analysis", light))])
 
 
 _W29 = f"""SELECT (SELECT count(*) FROM (SELECT DISTINCT (x0 + a) * s, (x1 + b) * s FROM lf, (VALUES (0, 0), (1, 0), (0, 1), (1, 1)) AS o(a, b))) AS n_points, (SELECT count(*) FROM lf) AS n_cells,
@@ -540,11 +611,23 @@ def _(spark, sf_dir):
     return baselines.unstructured_volume(leaves, 2, 8).withColumn("uniform_bytes", F.lit(8 * (1 << 16)).cast("long"))
 
 
-@query("op_truncate_mantissa", "SELECT c_custkey, abs(c_acctbal - c_acctbal) <= 1 AS bounded FROM customer")
+@query("op_truncate_mantissa", "SELECT c_custkey, c_acctbal::DOUBLE::BIT::BIGINT & -1048576 AS bits FROM customer")
+def _(spark, sf_dir):
+    """The lossy option: what is left of each value's bits."""
+    v = analysis.truncate_mantissa(F.col("c_acctbal"), 20)
+    return table(spark, sf_dir, "customer").select("c_custkey", bits.f64_bits(v).alias("bits"))
+
+
+#: An odd constant of 64 bits, half of which is used for single precision.
+SHIFT = 0x1234_5678_9ABC_DEF1
+_MOVED = f"(c_acctbal::DOUBLE::BIT::BIGINT)::HUGEINT + {SHIFT}::HUGEINT"
+
+
+@query("op_shift_bits", f"SELECT c_custkey, (CASE WHEN m > 9223372036854775807 THEN m - 18446744073709551616::HUGEINT ELSE m END)::BIGINT AS moved, b AS back FROM (SELECT c_custkey, {_MOVED} AS m, c_acctbal::DOUBLE::BIT::BIGINT AS b FROM customer)")
 def _(spark, sf_dir):
-    """The lossy option keeps its stated bound."""
-    v = F.col("c_acctbal")
-    return table(spark, sf_dir, "customer").select("c_custkey", (F.abs(analysis.truncate_mantissa(v, 20) - v) <= F.abs(v) * 2.0**-32).alias("bounded"))
+    """Bits moved on by a constant modulo 2^64, and back."""
+    b = bits.f64_bits(F.col("c_acctbal"))
+    return table(spark, sf_dir, "customer").select("c_custkey", pxor.shift_bits(b, SHIFT).alias("moved"), pxor.shift_bits(pxor.shift_bits(b, SHIFT), -SHIFT).alias("back"))
 
 
 @query("op_udf_run52", sql.with_(sql.pruned("events", 16, P), "SELECT domain, count(*) AS n, true AS alike FROM pruned GROUP BY 1"))

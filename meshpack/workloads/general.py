@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.curves import morton_encode
-from ..operators import analysis, baselines, layout
+from ..operators import analysis, baselines, layout, measures
 from ..operators.mesh import Params
 from ..operators.storage import cut, shared_dir
 from ..plans import pipeline
@@ -51,7 +51,7 @@ def _image_sql(m, level, axis):
 query("op_projection", _image_sql("orders", 5, 0))(lambda s, d: analysis.image(cells_of(s, d, "orders", P), 2, 5, 0, "n", "p"))
 query("w_lod_image", _image_sql("events", 4, 2))(lambda s, d: analysis.image(cells_of(s, d, "events", P), 3, 4, 2, "n", "p"))
 
-_UNI = f"SELECT (path << (2 * (6 - level))) | c AS path, {', '.join(f'{x} AS i{a}' for a, x in enumerate(sql.deinterleave('((path << (2 * (6 - level))) | c)', 2, 6)))}, p FROM cells, (SELECT unnest(range(4096))::BIGINT AS c) WHERE NOT refined AND level <= 6 AND c < (1::BIGINT << (2 * (6 - level)))"
+_UNI = f"SELECT (path << (2 * (6 - level))) | c AS path, {', '.join(f'{x} AS i{a}' for a, x in enumerate(sql.deinterleave('((path << (2 * (6 - level))) | c)', 2, 6)))}, p FROM cells, (SELECT unnest(range(4096))::BIGINT AS c) WHERE level <= 6 AND (level = 6 OR NOT refined) AND c < (1::BIGINT << (2 * (6 - level)))"
 query("op_uniform_resample", sql.with_(sql.mesh("orders", P), _UNI))(lambda s, d: baselines.resample(cells_of(s, d, "orders", P), 2, 6, ["p"]))
 _CORN = "SELECT level, path, " + ", ".join(f"({x} + ((c >> {a}) & 1)) * (1::BIGINT << (8 - level)) AS x{a}" for a, x in enumerate(_X2)) + " FROM cells, (SELECT unnest(range(4)) AS c) WHERE NOT refined"
 query("op_leaf_corners", sql.with_(sql.mesh("orders", P), _CORN))(lambda s, d: baselines.corners(cells_of(s, d, "orders", P).where("not refined"), 2, L))
@@ -166,25 +166,33 @@ def _(spark, sf_dir):
 
 # ---- snapshots over time -----------------------------------------------------------------------
 
-def _day_sql(day):
-    q = sql.points("events", 4)[0][1] + f" WHERE ts::DATE = date '2024-01-{day:02d}'"
-    return f"SELECT key >> 3 AS path, count(*) AS n FROM (SELECT {sql.interleave(['q1', 'q2'], 4)} AS key FROM ({q})) GROUP BY 1"
+_DEPTH = 6
+_DAYS = f"SELECT (ts::DATE - DATE '1970-01-01')::BIGINT AS day, {sql.interleave(['q1', 'q2'], _DEPTH)} AS path, count(*) AS n FROM ({sql.points('events', _DEPTH)[0][1].replace('SELECT ', 'SELECT ts, ', 1)}) GROUP BY 1, 2"
+_PAIR = [
+    ("days", _DAYS),
+    ("was", "SELECT day + 1 AS day, path, n AS n_before FROM days WHERE day < (SELECT max(day) FROM days)"),
+    ("now", "SELECT day, path, n AS n_after FROM days WHERE day > (SELECT min(day) FROM days)"),
+]
 
 
-def _day(spark, sf_dir, day):
+def _pairs(spark, sf_dir):
+    """(day, path, n_before) and (day, path, n_after): the filled cells of every day but the first, and of the day before it."""
     spec = MESHES["events"]
     full = table(spark, sf_dir, "events")
-    hi = int(full.agg(F.max("user_id")).first()[0]) + 1
+    hi = int(full.agg(F.max("user_id")).first()[0] or 0) + 1
     box = replace(spec, axes=tuple(a if a.hi is not None else replace(a, hi=hi) for a in spec.axes))
-    pts = grid_points(full.where(F.to_date("ts") == F.lit(f"2024-01-{day:02d}").cast("date")), box, 4)
-    return pts.groupBy(F.call_function("shiftright", morton_encode([F.col("q1"), F.col("q2")], 4), F.lit(3)).alias("path")).agg(F.count("*").alias("n"))
+    pts = grid_points(full, box, _DEPTH, keep=("ts",))
+    days = cut(pts.groupBy(F.datediff(F.to_date("ts"), F.lit("1970-01-01").cast("date")).cast("long").alias("day"), morton_encode([F.col("q1"), F.col("q2")], _DEPTH).alias("path")).agg(F.count("*").alias("n")))
+    first, last = days.agg(F.min("day"), F.max("day")).first()
+    was = days.where(F.col("day") < last).select((F.col("day") + 1).alias("day"), "path", F.col("n").alias("n_before"))
+    return was, days.where(F.col("day") > first).select("day", "path", F.col("n").alias("n_after"))
 
 
-query("op_snapshot_diff", f"SELECT coalesce(a.path, b.path) AS path, coalesce(a.n, 0) AS n_before, coalesce(b.n, 0) AS n_after FROM ({_day_sql(3)}) a FULL JOIN ({_day_sql(4)}) b ON a.path = b.path")(
-    lambda s, d: _day(s, d, 3).withColumnRenamed("n", "n_before").join(_day(s, d, 4).withColumnRenamed("n", "n_after"), "path", "full").na.fill(0).select("path", "n_before", "n_after")
+query("op_snapshot_diff", sql.with_(_PAIR, "SELECT day, path, coalesce(n_before, 0) AS n_before, coalesce(n_after, 0) AS n_after FROM was FULL JOIN now USING (day, path)"))(
+    lambda s, d: (lambda was, now: was.join(now, ["day", "path"], "full").na.fill(0, ["n_before", "n_after"]))(*_pairs(s, d))
 )
-query("op_snapshot_common", f"SELECT path FROM ({_day_sql(3)}) INTERSECT SELECT path FROM ({_day_sql(4)})")(lambda s, d: _day(s, d, 3).select("path").intersect(_day(s, d, 4).select("path")))
-query("op_snapshot_except", f"SELECT path FROM ({_day_sql(3)}) EXCEPT SELECT path FROM ({_day_sql(4)})")(lambda s, d: _day(s, d, 3).select("path").exceptAll(_day(s, d, 4).select("path")))
+query("op_snapshot_common", sql.with_(_PAIR, "SELECT day, path FROM was INTERSECT SELECT day, path FROM now"))(lambda s, d: (lambda was, now: was.select("day", "path").intersect(now.select("day", "path")))(*_pairs(s, d)))
+query("op_snapshot_except", sql.with_(_PAIR, "SELECT day, path FROM was EXCEPT SELECT day, path FROM now"))(lambda s, d: (lambda was, now: was.select("day", "path").exceptAll(now.select("day", "path")))(*_pairs(s, d)))
 
 _us = lambda: F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', w.start)").alias("start")
 _at = lambda s, d: table(s, d, "events").withColumn("at", F.col("ts"))
@@ -215,16 +223,20 @@ def _(spark, sf_dir):
     return spark.table(name).select(_us(), "n", "cents")
 
 
-@query("op_stream_late")
+@query("op_stream_late", f"SELECT epoch_us(time_bucket(INTERVAL 1 day, ts)) AS start, {_SUMS} FROM events WHERE time_bucket(INTERVAL 1 day, ts) + INTERVAL 1 day <= (SELECT max(ts) FROM events) GROUP BY 1")
 def _(spark, sf_dir):
-    """Closed windows only, with rows behind the watermark dropped: a stream in event order loses none."""
+    """Closed windows only, with rows behind the watermark dropped: what one micro-batch brings is not late.
+
+    Files written in parallel have no order, so the stream takes them together; by several batches rows
+    of earlier days could come behind the watermark and be lost.
+    """
     name = f"meshpack_late_{uuid.uuid4().hex}"
     folder = f"{shared_dir(spark).rstrip('/')}/{name}"
     table(spark, sf_dir, "events").repartitionByRange(4, "ts").sortWithinPartitions("ts").write.parquet(folder)
-    closed = snapshots.windowed(snapshots.distinct_events(snapshots.read_events(spark, folder, 1)), late=None)
+    closed = snapshots.windowed(snapshots.distinct_events(snapshots.read_events(spark, folder, 2**31 - 1)), late=None)
     q = closed.writeStream.format("memory").queryName(name).outputMode("append").option("checkpointLocation", f"{folder}-state").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name).select(F.col("w.start").alias("start"), "n", "cents")
+    return spark.table(name).select(_us(), "n", "cents")
 
 
 @query("w_stream_encode")
@@ -332,10 +344,13 @@ def _(spark, sf_dir):
     return spark.createDataFrame(sizes, "codec string, bytes long")
 
 
-@query("w_file_counts", "SELECT * FROM (VALUES (10000::BIGINT, 40000::BIGINT, 100::BIGINT), (12800, 51200, 100)) AS t(processes, legacy_files, packed_files)")
+@query("w_file_counts", sql.with_(sql.threads("events", 16, P), "SELECT 'published' AS dump, processes, 4 * processes AS legacy_files, 100::BIGINT AS packed_files FROM (VALUES (10000::BIGINT), (12800)) AS t(processes) UNION ALL SELECT 'events', count(DISTINCT domain), 4 * count(DISTINCT domain), 2 FROM local"))
 def _(spark, sf_dir):
-    from ..operators.measures import file_count_model
-
-    made = [(n, *file_count_model(n, target_files=100).values()) for n in (10_000, 12_800)]
-    return spark.createDataFrame(made, "processes long, legacy_files long, packed_files long")
-
+    """Files of a dump: the published model, and a mesh that is written as packed rows and counted where it lies."""
+    place = f"{shared_dir(spark).rstrip('/')}/files-{uuid.uuid4().hex}"
+    packed = pipeline.compress(local_of(spark, sf_dir, "events", P), 3, {"rho": "float64"})
+    packed.repartitionByRange(2, "domain").write.parquet(place)
+    back = spark.read.parquet(place).select("domain", F.input_file_name().alias("file"))
+    own = back.agg(F.lit("events").alias("dump"), F.count_distinct("domain").alias("processes"), (4 * F.count_distinct("domain")).alias("legacy_files"), F.count_distinct("file").alias("packed_files"))
+    made = [("published", n, *measures.file_count_model(n, target_files=100).values()) for n in (10_000, 12_800)]
+    return spark.createDataFrame(made, "dump string, processes long, legacy_files long, packed_files long").unionByName(own)

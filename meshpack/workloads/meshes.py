@@ -238,6 +238,25 @@ def _(spark, sf_dir):
 
 _FOREST = "SELECT domain, level, path, refined, masked FROM pruned WHERE level >= 2 AND NOT (level = 2 AND masked AND NOT refined)"
 query("op_forest", sql.with_(sql.pruned("line", 16, P), _FOREST))(lambda s, d: _five(layout.to_forest(pruned_of(s, d, "line", P), 3, 2)))
+query("w_forest_restore", sql.with_(sql.pruned("line", 16, P), "SELECT domain, level, path, refined, masked FROM pruned"))(
+    lambda s, d: layout.from_forest(layout.to_forest(pruned_of(s, d, "line", P), 3, 2), 3, 2)
+)
+
+
+@query("w_prune_times")
+def _(spark, sf_dir):
+    """Seconds of pruning by domain, and how they go with the number of coarse cells and their mean place."""
+    out = []
+    for m in SNAPSHOTS:
+        times = prune.prune_times(cut(layout.to_arrays(local_of(spark, sf_dir, m, P), MESHES[m].dim)))
+        ns = F.col("ns").cast("double")
+        out.append(times.agg(
+            F.lit(m).alias("mesh"), F.count("*").alias("domains"), (F.min("ns") / 1000).alias("least_us"), (F.max("ns") / 1000).alias("most_us"), (F.sum("n_cells") * 1000.0 / F.sum("ns")).alias("million_cells_s"),
+            F.corr(ns, F.col("coarse").cast("double")).alias("corr_coarse"), F.corr(ns, "place").alias("corr_place"),
+        ))
+    return out[0].unionByName(out[1]).unionByName(out[2])
+
+
 query("w_forest", sql.with_(sql.pruned("line", 16, P), f"SELECT domain, count(*) FILTER (level = 2) AS roots, count(*) AS cells, 4 * count(*) FILTER (level = 2) AS morton_bytes, 12 * count(*) FILTER (level = 2) AS ijk_bytes FROM ({_FOREST}) GROUP BY 1"))(
     lambda s, d: layout.to_forest(pruned_of(s, d, "line", P), 3, 2).groupBy("domain").agg(
         F.count_if(F.col("level") == 2).alias("roots"), F.count("*").alias("cells"), (4 * F.count_if(F.col("level") == 2)).alias("morton_bytes"), (12 * F.count_if(F.col("level") == 2)).alias("ijk_bytes")

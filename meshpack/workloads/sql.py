@@ -55,7 +55,8 @@ def mesh(name: str, p: Params = Params()) -> list[tuple[str, str]]:
     r2 = " + ".join(f"(2 * {c} + 1 - (1::BIGINT << t.level)) * (2 * {c} + 1 - (1::BIGINT << t.level))" for c in x)
     parts += [
         ("tree", f"SELECT 0::INTEGER AS level, 0::BIGINT AS path UNION ALL SELECT (level + 1)::INTEGER, (path << {d}) | c FROM refd, (SELECT unnest(range({1 << d}))::BIGINT AS c)"),
-        ("near_points", f"SELECT t.level, t.path, arg_max(struct_pack(n := c.n, sv := c.sv, sp := c.sp), c.level) AS w FROM tree t, levels, cnt c WHERE l <= t.level AND c.level = l AND c.path = (t.path >> ({d} * (t.level - l))) GROUP BY 1, 2"),
+        ("above", f"SELECT t.level, t.path, l AS al, t.path >> ({d} * (t.level - l)) AS ap FROM tree t, levels WHERE l <= t.level"),
+        ("near_points", "SELECT a.level, a.path, arg_max(struct_pack(n := c.n, sv := c.sv, sp := c.sp), al) AS w FROM above a JOIN cnt c ON c.level = al AND c.path = ap GROUP BY 1, 2"),
         (
             "cells",
             f"""SELECT t.level, t.path, r.path IS NOT NULL AS refined, coalesce(c.n, 0)::BIGINT AS n,

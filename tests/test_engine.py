@@ -1,6 +1,7 @@
 """Operators on Spark: against DuckDB on the smallest tables, and properties that hold by design."""
 
 import math
+import random
 import os
 
 import duckdb
@@ -47,7 +48,7 @@ def test_against_sql(spark, duck, name):
 
 
 def test_every_query_has_sql_or_is_listed():
-    rows_only = {"w_bool_codecs", "w_float_codecs", "w_speeds", "op_stream_late", "w_stream_encode", "w_parquet_volume"}
+    rows_only = {"w_bool_codecs", "w_float_codecs", "w_speeds", "w_speeds_run52", "w_speeds_pxor", "w_speeds_header", "w_prune_times", "w_stream_encode", "w_parquet_volume"}
     assert set(registry.queries()) - set(registry.oracle_sql()) == rows_only
 
 
@@ -212,3 +213,31 @@ def test_registry_loads_without_a_session():
 
     code = "import __spark_entry__ as e; assert len(e.queries()) > 100 and len(e.oracle_sql()) > 100"
     subprocess.run([sys.executable, "-c", code], check=True, cwd=os.path.dirname(os.path.dirname(__file__)))
+
+
+def test_boundaries_of_very_many_domains(spark):
+    """12 800 domains: the first keys by rank, from a table of many partitions, and owners by search."""
+    n, total = 12_800, 60_000
+    keys = sorted(random.Random(3).sample(range(1 << 40), total))
+    leaves = spark.createDataFrame([(k,) for k in random.Random(4).sample(keys, total)], "key long").repartition(9)
+    bounds = domains.leaf_boundaries(leaves, n)
+    rank = {}
+    for r, k in enumerate(keys):
+        rank.setdefault(r * n // total, k)
+    assert bounds == [rank[d] for d in range(1, n)]
+    owned = leaves.select("key", domains.owner_of(F.col("key"), bounds).alias("d"))
+    place = {k: r * n // total for r, k in enumerate(keys)}
+    assert all(place[r.key] == r.d for r in owned.collect())
+
+
+@pytest.mark.parametrize("n, total", [(1, 5), (4, 0), (7, 3), (16, 16), (5, 100)])
+def test_boundaries_of_few_leaves(spark, n, total):
+    leaves = spark.createDataFrame([(3 * r,) for r in range(total)], "key long")
+    bounds = domains.leaf_boundaries(leaves, n)
+    assert len(bounds) == n - 1
+    owned = leaves.select("key", domains.owner_of(F.col("key"), bounds).alias("d"))
+    assert all(r.d == (r.key // 3) * n // total for r in owned.collect())
+
+
+def test_domains_grow_with_cells():
+    assert domains.domains_for(100, 16) == 16 and domains.domains_for(160_000_001, 16) == 17 and domains.domains_for(0) == 1
