@@ -109,7 +109,7 @@ def test_one_domain_has_nothing_to_prune(spark):
 def test_coarse_split_and_forest_leave_no_redundancy(spark):
     after = cut(prune.prune(local_of(spark, SF, "line", Params(align="coarse", domains=8)), 3))
     assert measures.redundancy(layout.to_forest(after, 3, 2)).first().redundancy == 1
-    back = layout.from_forest(layout.to_forest(after, 3, 2), after, 2)
+    back = layout.from_forest(layout.to_forest(after, 3, 2), 3, 2)  # from the forest alone
     assert five(back) == five(after)
 
 
@@ -241,3 +241,28 @@ def test_boundaries_of_few_leaves(spark, n, total):
 
 def test_domains_grow_with_cells():
     assert domains.domains_for(100, 16) == 16 and domains.domains_for(160_000_001, 16) == 17 and domains.domains_for(0) == 1
+
+
+@pytest.mark.parametrize("curve, l0", [("hilbert", 2), ("morton", 1), ("hilbert", 0)])
+def test_trees_come_back_from_the_forest_alone(spark, curve, l0):
+    after = cut(prune.prune(local_of(spark, SF, "emb", Params(curve=curve)), 3))
+    assert five(layout.from_forest(layout.to_forest(after, 3, l0), 3, l0, curve)) == five(after)
+
+
+def test_null_coarse_values_raise(spark):
+    local = cut(local_of(spark, SF, "emb", Params()))
+    broken = local.withColumn("rho", F.when(~F.col("refined"), F.col("rho")))
+    with pytest.raises(Exception, match="no coarse value of rho"):
+        pxor.encode(broken, 3, {"rho": "float64"}).collect()
+    with pytest.raises(pxor.MissingCoarseValues):
+        pxor.encode(local.drop("rho"), 3, {"rho": "float64"})
+
+
+def test_shifted_bits_come_back(spark):
+    rows = spark.createDataFrame([(x,) for x in (0, 1, -1, 2**63 - 1, -(2**63), 0x0123456789ABCDEF)], "b long")
+    for by in (1, 2**32, 2**63 - 1, -5, 0x123456789ABCDEF1):
+        got = rows.select("b", pxor.shift_bits(F.col("b"), by).alias("m")).withColumn("back", pxor.shift_bits(F.col("m"), -by)).collect()
+        assert all((r.m - r.b - by) % 2**64 == 0 and r.back == r.b for r in got)
+    small = spark.createDataFrame([(x,) for x in (0, 1, 2**32 - 1)], "b long")
+    got = small.select("b", pxor.shift_bits(F.col("b"), 77, "float32").alias("m")).withColumn("back", pxor.shift_bits(F.col("m"), -77, "float32")).collect()
+    assert all(0 <= r.m < 2**32 and r.back == r.b for r in got)
