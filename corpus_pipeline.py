@@ -36,7 +36,7 @@ def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Small batches: workers of earlier stages still live on the executors, which share their memory.
     """
-    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"), chars=500_000)
+    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"), chars=200_000)
 
 
 STAGES = [
