@@ -223,11 +223,11 @@ def _(spark, sf_dir):
     return spark.table(name).select(_us(), "n", "cents")
 
 
-@query("op_stream_late", f"SELECT epoch_us(time_bucket(INTERVAL 1 day, ts)) AS start, {_SUMS} FROM events WHERE time_bucket(INTERVAL 1 day, ts) + INTERVAL 1 day <= (SELECT max(ts) FROM events) GROUP BY 1")
+@query("op_stream_late", f"SELECT epoch_us(time_bucket(INTERVAL 1 day, ts)) AS start, {_SUMS} FROM events WHERE time_bucket(INTERVAL 1 day, ts) + INTERVAL 1 day <= (SELECT max(ts) - INTERVAL 2 days FROM events) GROUP BY 1")
 def _(spark, sf_dir):
-    """Closed windows only, with rows behind the watermark dropped: what one micro-batch brings is not late.
+    """Windows that ended two days or more before the last event, the lateness that the watermark grants.
 
-    Files written in parallel have no order, so the stream takes them together; by several batches rows
+    Rows behind the watermark are dropped; what one micro-batch brings is not late.  Files written in parallel have no order, so the stream takes them together; by several batches rows
     of earlier days could come behind the watermark and be lost.
     """
     name = f"meshpack_late_{uuid.uuid4().hex}"
