@@ -29,8 +29,8 @@ NORMAL = bytes(
     for b in range(256)
 )
 WINDOW = 13
-#: Bytes of benchmark text in one automaton (about 12 bytes of memory for each).
-BLOCK_BYTES = 64_000_000
+#: Bytes of benchmark text, and 64 for each item, in one automaton: about 16 bytes of memory for each.
+BLOCK_BYTES = 60_000_000
 #: Items that a block of words may be looked up in one by one.
 CROWD = 16
 #: Hit words, and items eightfold, up to which the hits of several blocks are joined back by broadcast.
