@@ -206,10 +206,13 @@ def _each(c, name):
 for _name in ("events", "line"):
 
     def _sweep(spark, sf_dir, name=_name):
-        out = None
+        out, built = None, {}
         for c in SWEEP:
             p = _sweep_params(c)
-            one = prune_report(spark, sf_dir, name, p).select(F.expr(_lead(c).rstrip(", ")), "*")
+            # how a mesh is dealt out changes nothing of its cells: settings of one depth and balance share them
+            if (p.balance, p.level_max) not in built:
+                built[p.balance, p.level_max] = cells_of(spark, sf_dir, name, p)
+            one = prune_report(spark, sf_dir, name, p, built[p.balance, p.level_max]).select(F.expr(_lead(c).rstrip(", ")), "*")
             out = one if out is None else out.unionByName(one)
         return out
 
