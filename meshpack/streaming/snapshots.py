@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.curves import morton_encode
-from ..functions.shifts import shr
+from ..functions.shifts import shl, shr
 from ..operators import domains, mesh, prune
 from ..operators.mesh import Params
 from ..operators.pxor import encode
@@ -61,8 +61,12 @@ def _fixed_box(spec, users: int):
     return replace(spec, axes=axes)
 
 
-def snapshot_trees(counts: DataFrame, n: int, p: Params = Params()) -> DataFrame:
-    """Pruned local trees of one window's finest cells (path, n, sv, sp)."""
+def snapshot_trees(counts: DataFrame, n: int, p: Params = Params(), roots: int = 1) -> DataFrame:
+    """Pruned local trees of one window's finest cells (path, n, sv, sp).
+
+    With several windows in one pass, window i has the root i, whose number stands above the bits of
+    the finest paths, and the domains from i * n on.
+    """
     spec = MESHES["events"]
     every = counts.withColumn("level", F.explode(F.sequence(F.lit(0), F.lit(p.level_max))))
     at = shr("path", ((F.lit(p.level_max) - F.col("level")) * spec.dim).cast("int"))
@@ -70,23 +74,30 @@ def snapshot_trees(counts: DataFrame, n: int, p: Params = Params()) -> DataFrame
 
 
     levels = cut(levels)
-    cells = cut(mesh.with_fields(mesh.tree_of(mesh.refined_cells(levels, spec.dim, p), spec.dim), levels, spec))
-    return prune.prune(domains.stored(domains.thread_trees(cells, spec.dim, p, n), n), spec.dim)
+    cells = cut(mesh.with_fields(mesh.tree_of(mesh.refined_cells(levels, spec.dim, p, roots), spec.dim, roots), levels, spec, roots))
+    parts = min(n * roots, max(n, 4 * counts.sparkSession.sparkContext.defaultParallelism))
+    return prune.prune(domains.stored(domains.thread_trees(cells, spec.dim, p, n, roots=roots), parts), spec.dim)
 
 
 def write_snapshots(counts: DataFrame, folder: str, checkpoint: str, n: int = 4, p: Params = Params()):
     """A query that encodes each closed window and writes its domains, replacing what a retry left.
 
-    Windows of a micro-batch are taken one after another: their number is that of windows the
-    watermark has just closed.
+    Windows of a micro-batch, those that the watermark has just closed, are taken in one pass, as
+    roots of a forest: the number of jobs does not grow with theirs.
     """
+    dim = MESHES["events"].dim
 
     def batch(df: DataFrame, _epoch: int) -> None:
         df = df.persist()
-        for (start,) in sorted(df.select("w.start").distinct().collect()):
-            trees = snapshot_trees(df.where(F.col("w.start") == F.lit(start)).select("path", "n", "sv", "sp"), n, p)
-            packed = encode(trees, MESHES["events"].dim, {"rho": "float64"})
-            packed.write.mode("overwrite").parquet(f"{folder}/snapshot={start:%Y-%m-%dT%H-%M-%S}")
+        starts = sorted(df.select("w.start", F.unix_micros("w.start")).distinct().collect(), key=lambda r: r[1])
+        if starts:
+            known = [(i, at, f"{start:%Y-%m-%dT%H-%M-%S}") for i, (start, at) in enumerate(starts)]
+            windows = F.broadcast(df.sparkSession.createDataFrame(known, "root long, at long, snapshot string"))
+            path = shl("root", dim * p.level_max).bitwiseOR(F.col("path"))
+            counts = df.withColumn("at", F.unix_micros("w.start")).join(windows, "at").select(path.alias("path"), "n", "sv", "sp")
+            packed = encode(snapshot_trees(counts, n, p, len(starts)), dim, {"rho": "float64"})
+            named = packed.withColumn("root", F.expr(f"domain div {n}")).join(windows, "root").withColumn("domain", F.col("domain") % n).drop("root", "at")
+            named.write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("snapshot").parquet(folder)
         df.unpersist()
 
     return counts.writeStream.foreachBatch(batch).outputMode("append").option("checkpointLocation", checkpoint)
