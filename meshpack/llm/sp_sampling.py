@@ -468,12 +468,15 @@ SAMPLE = [
 IDS = T.StructField("ids", T.ArrayType(T.IntegerType()))
 
 
-def segmentations(docs: DataFrame, k: int = K, model: str = MODEL, seed: int = SEED, key: str = "doc_id", with_ids: bool = True, keep=("doc_id",), chars: int = CHARS) -> DataFrame:
+def segmentations(docs: DataFrame, k: int = K, model: str = MODEL, seed: int = SEED, key: str = "doc_id", with_ids: bool = True, keep=("doc_id",), chars: int = CHARS, nested: bool = False) -> DataFrame:
     """A row for each text and sample: counts, scores, a digest of the ids, and the ids.
 
+    ``nested``: a row for each text, with its first sample, and the others as an array of structs ``more``.
+
     ``exact`` tells whether the ids decode to the text; the digest is over ids as little-endian 32-bit words.
     """
-    added = [*SAMPLE, *([IDS] if with_ids else [])]
+    each = [*SAMPLE, *([IDS] if with_ids else [])]
+    added = [*each, *([T.StructField("more", T.ArrayType(T.StructType(each)))] if nested else [])]
     kept = [c for c in keep if c not in {f.name for f in added}]
     schema = T.StructType([*(docs.schema[c] for c in kept), *added])
     read = list(dict.fromkeys([*kept, key, "text"]))
@@ -487,27 +490,48 @@ def segmentations(docs: DataFrame, k: int = K, model: str = MODEL, seed: int = S
                 part = batch.slice(lo, 512)
                 texts = part.column(read.index("text")).to_pylist()
                 got = sampler.sample(part.column(read.index(key)).to_pylist(), texts)
-                rows, cols = [], {f.name: [] for f in added}
+                rows, cols, further = [], {f.name: [] for f in each}, {f.name: [] for f in each}
+                behind = [0]
                 for i, (samples, threshold) in enumerate(got):
+                    plain = (texts[i] or "").replace(MARK, " ")
+                    if nested:
+                        behind.append(behind[-1] + len(samples) - 1)
                     for s, (ids, total, value) in enumerate(samples, 1):
-                        rows.append(i)
-                        cols["sample"].append(s)
-                        cols["n_pieces"].append(len(ids))
-                        cols["log_prob"].append(total)
-                        cols["perturbed"].append(value)
-                        cols["log_inclusion"].append(inclusion(total, threshold))
-                        cols["exact"].append(sampler.v.decode_array(ids) == (texts[i] or "").replace(MARK, " "))
-                        cols["ids_sha256"].append(hashlib.sha256(ids.astype("<i4").tobytes()).hexdigest())
+                        to = further if nested and s > 1 else cols
+                        if to is cols:
+                            rows.append(i)
+                        to["sample"].append(s)
+                        to["n_pieces"].append(len(ids))
+                        to["log_prob"].append(total)
+                        to["perturbed"].append(value)
+                        to["log_inclusion"].append(inclusion(total, threshold))
+                        to["exact"].append(sampler.v.decode_array(ids) == plain)
+                        to["ids_sha256"].append(hashlib.sha256(ids.astype("<i4").tobytes()).hexdigest())
                         if with_ids:
-                            cols["ids"].append(ids)
+                            to["ids"].append(ids)
                 taken = part.take(pa.array(rows, pa.int64()))
                 arrays = [taken.column(read.index(c)) for c in kept]
-                arrays += [pa.array(cols[f.name], schema_of[f.name]) for f in added]
-                yield pa.RecordBatch.from_arrays(arrays, names=[*kept, *cols])
+                arrays += columns(cols)
+                if nested:
+                    kind = schema_of["more"]
+                    arrays.append(pa.ListArray.from_arrays(pa.array(behind, pa.int32()), pa.StructArray.from_arrays(columns(further), fields=list(kind.value_type)), type=kind))
+                yield pa.RecordBatch.from_arrays(arrays, names=[*kept, *(f.name for f in added)])
 
     from pyspark.sql.pandas.types import to_arrow_type
 
     schema_of = {f.name: to_arrow_type(f.dataType) for f in added}
+
+    def columns(values):
+        out = []
+        for f in each:
+            got, kind = values[f.name], schema_of[f.name]
+            if f.name != IDS.name:
+                out.append(pa.array(got, kind))
+                continue
+            ends = np.cumsum([0, *map(len, got)]).astype(np.int32)
+            out.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(got) if got else np.zeros(0, np.int32)), type=kind))
+        return out
+
     return docs.select(*read).mapInArrow(released(run), schema)
 
 
