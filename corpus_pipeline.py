@@ -32,11 +32,13 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A sampled segmentation of every document, with its piece ids, beside its language and source.
+    """The sampler's distinct segmentations of every document, with their piece ids, beside its language and source.
+
+    A row for each document: the first segmentation in the columns, the others, for further epochs, in ``more``.
 
     Small batches: workers of earlier stages still live on the executors, which share their memory.
     """
-    return sp_sampling.segmentations(docs, k=1, with_ids=True, keep=("doc_id", "lang", "source"), chars=200_000)
+    return sp_sampling.segmentations(docs, with_ids=True, keep=("doc_id", "lang", "source"), chars=200_000, nested=True)
 
 
 STAGES = [

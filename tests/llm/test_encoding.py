@@ -6,6 +6,7 @@ import random
 import numpy as np
 from test_text_operators import words
 
+import corpus_pipeline
 from meshpack.llm import queries, sp_sampling
 
 
@@ -15,6 +16,20 @@ def _docs(spark):
     return spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in enumerate(texts)], "doc_id long, text string, lang string, source string, n_chars long")
 
 
+def test_encoding_keeps_all_samples(spark):
+    """The stage draws as many segmentations as op7, one row a document."""
+    docs = _docs(spark)
+    flat = {}
+    for r in sp_sampling.segmentations(docs).collect():
+        flat.setdefault(r.doc_id, []).append((r.sample, r.log_prob, r.perturbed, r.log_inclusion, r.exact, r.ids_sha256, r.ids))
+    got = {}
+    for r in corpus_pipeline.encode(spark, docs, "").collect():
+        assert r.doc_id not in got
+        got[r.doc_id] = [(s.sample, s.log_prob, s.perturbed, s.log_inclusion, s.exact, s.ids_sha256, s.ids) for s in (r, *r.more)]
+    assert got == flat and max(map(len, got.values())) == sp_sampling.K > 1
+    assert len(got[31]) == 1  # the empty text has one segmentation
+
+
 def test_op7_returns_the_segmentations(spark, tmp_path):
     docs = _docs(spark)
     docs.write.parquet(f"{tmp_path}/documents.parquet")
